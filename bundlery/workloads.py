@@ -1,0 +1,4 @@
+"""Registered queries of the package engine."""
+
+QUERIES: dict = {}
+ORACLE_SQL: dict = {}
