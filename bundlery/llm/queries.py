@@ -7,7 +7,12 @@ from pyspark.sql import functions as F
 
 from .benchmark_leaks import find_leaks
 from .bin_packing import pack_documents
+from .language_id import identify_languages
+from .licence_scan import oracle as licence_oracle
+from .licence_scan import scan_licences
 from .media_columns import media_columns
+from .personal_data import KINDS, find_personal_data
+from .reply_trees import END, START, format_conversations, learnt_text, read_back
 from .signature_join import jaccard_components
 from .substring_dedup import dedup_substrings
 from .token_counts import count_tokens
@@ -28,10 +33,36 @@ def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(table(spark, sf_dir, "documents"), width=3, num=90, den=100)
 
 
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return identify_languages(table(spark, sf_dir, "documents"))
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"), limit=1024)
 
 
+def op4_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = find_personal_data(table(spark, sf_dir, "documents"))
+    order = F.array(*[F.lit(k) for k in KINDS])
+
+    def listed(spans):
+        """Spans as kind:start:end, by start, then kind as listed."""
+        ranked = F.sort_array(F.transform(spans, lambda x: F.struct(x["start"].alias("s"), F.array_position(order, x["kind"]).alias("k"), x["end"].alias("e"))))
+        return F.array_join(F.transform(ranked, lambda x: F.concat_ws(":", F.element_at(order, x["k"].cast("int")), x["s"].cast("string"), x["e"].cast("string"))), ",")
+
+    terms = F.transform(F.coalesce("terms", F.array().cast("array<struct<start:bigint,end:bigint>>")), lambda x: F.struct(x["start"].alias("start"), F.lit("term").alias("kind"), x["end"].alias("end")))
+
+    def count(kind):
+        return F.size(F.filter("base", lambda x: x["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+    counts = [count(k) for k in KINDS[:4]]
+    return found.select("doc_id", *counts, F.sha2(listed(F.col("base")), 256).alias("base_sha256"), listed(F.concat(F.col("base"), terms)).alias("spans"))
+
+
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scan_licences(table(spark, sf_dir, "documents"))
+
+
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_substrings(table(spark, sf_dir, "documents"), width=50).select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
@@ -49,15 +80,51 @@ def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stored.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", F.length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"), F.concat_ws(",", "fingerprint").alias("feature"))
 
 
+#: The conversation that is formatted beside those of the table.
+PROBE = f"{END}{START}assistant ok"
+
+
+def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    probe = spark.createDataFrame([(-1, 0, "user", PROBE), (-1, 1, "assistant", PROBE)], "conv_id long, turn long, role string, text string")
+    done = format_conversations(rows.unionByName(probe)).withColumn("turns", read_back(F.col("formatted")))
+    said = F.array_join(F.transform("turns", lambda x: F.concat(x["role"], F.lit("\n"), x["text"], F.lit("\n"))), "")
+    learnt = done.withColumn("learnt", learnt_text(F.col("formatted"), F.col("loss")))
+    return learnt.select(
+        "conv_id",
+        F.size("turns").cast("long").alias("n_turns"),
+        F.sha2(said, 256).alias("turns_sha256"),
+        F.length("learnt").cast("long").alias("loss_chars"),
+        F.sha2("learnt", 256).alias("loss_sha256"),
+        F.length("formatted").cast("long").alias("formatted_chars"),
+    )
+
+
+OP10_SQL = f"""
+WITH rows AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+              UNION ALL VALUES (-1, 0, 'user', '{PROBE}'), (-1, 1, 'assistant', '{PROBE}')),
+turns AS (SELECT *, replace(replace(text, '\\', '\\\\'), '<|', '<\\|') AS body,
+                 replace(replace(replace(role, '\\', '\\\\'), '<|', '<\\|'), chr(10), '<\\n') AS head FROM rows)
+SELECT conv_id, count(*) AS n_turns,
+       sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+       coalesce(sum(length(text)) FILTER (role = 'assistant'), 0)::BIGINT AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+       sum(length(head) + length(body) + {len(START) + 1 + len(END) + 1})::BIGINT AS formatted_chars
+FROM turns GROUP BY conv_id"""
+
 QUERIES = {
     f.__name__: f
     for f in (
         op1_ngram_jaccard_join,
+        op2_language_id,
         op3_token_counts,
+        op4_personal_data,
+        op5_license_scan,
         op6_substring_dedup,
         op7_best_fit_packing,
         op8_benchmark_decontamination,
         op9_media_columns,
+        op10_chat_formatting,
     )
 }
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op5_license_scan": licence_oracle(), "op10_chat_formatting": OP10_SQL}
