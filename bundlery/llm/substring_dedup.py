@@ -30,7 +30,7 @@ from .textbits import mix64, row_chunks, run_hashes, text_view, word_hashes, wor
 
 WIDTH, GRAM = 50, 16
 #: Words that a map task gathers before it settles and sends them.
-TASK_WORDS = 3_000_000
+TASK_WORDS = 1_200_000
 _RUN = np.dtype([("doc", "<i8"), ("start", "<u4"), ("n", "<u4")])
 _SPAN = np.dtype([("doc", "<i8"), ("start", "<u4"), ("n", "<u4")])
 
