@@ -13,7 +13,9 @@ part offsets), so a length that very many pieces share is no single task.
 
 from __future__ import annotations
 
+import sys
 import zlib
+from array import array
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -23,7 +25,10 @@ from pyspark.sql import functions as F
 from .lineage import settle
 
 CAPACITY = 2048
-REMEMBERED = 400_000
+#: Chunks and words that one worker remembers; beyond that it starts anew.
+REMEMBERED, REMEMBERED_WORDS = 1_200_000, 700_000
+#: Signs that may follow a word in a chunk (fixed value).
+TAIL = ".,;:!?*#$%&|"
 _SEPARATORS = "\x1c\x1d\x1e\x1f"
 
 
@@ -92,27 +97,36 @@ class WordIds(dict):
         super().__init__()
         from tokenizers import Tokenizer
 
+        if sys.byteorder != "little" or array("I").itemsize != 4:
+            raise RuntimeError("ids are kept as little-endian 32-bit numbers")
         self.tokenizer = Tokenizer.from_file(path)
         self.special = [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
         self.words: dict[str, bytes] = {}
+        printable = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+        spare = iter(range(0x100, 0x200))
+        self.byte_symbol = {b: b if b in printable else next(spare) for b in range(256)}
 
     def encoded(self, text: str) -> bytes:
-        ids = self.tokenizer.encode(text, add_special_tokens=False).ids
-        return b"".join([i.to_bytes(4, "little") for i in ids])
+        return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _word(self, word: str) -> bytes:
+        """Ids of one lower-case pre-token, past the steps that cannot change it."""
+        out = self.words.get(word)
+        if out is None:
+            if len(self.words) >= REMEMBERED_WORDS:
+                self.words.clear()
+            symbols = word if word.isascii() else word.encode().decode("latin-1").translate(self.byte_symbol)
+            out = self.words[word] = array("I", [t.id for t in self.tokenizer.model.tokenize(symbols)]).tobytes()
+        return out
 
     def __missing__(self, chunk: str) -> bytes:
-        word = chunk.rstrip(".,;:!?*#$%&|")
-        if word and word.isascii() and word.isalpha():
-            # letters and the signs after them are separate pre-tokens, case is folded
-            out = b""
-            for part in (word.lower(), chunk[len(word) :]):
-                if part:
-                    got = self.words.get(part)
-                    if got is None:
-                        if len(self.words) >= REMEMBERED:
-                            self.words.clear()
-                        got = self.words[part] = self.encoded(part)
-                    out += got
+        word = chunk.rstrip(TAIL)
+        low = word.lower()
+        # composed Latin letters only: normalisation keeps them and case folds one to one
+        if word.isalpha() and (word.isascii() or (max(word) < "\u0180" and len(low) == len(word))):
+            out = self._word(low)
+            if len(word) < len(chunk):
+                out += self._word(chunk[len(word) :])
         else:
             out = self.encoded(chunk)
         if len(chunk) <= 48:

@@ -56,8 +56,10 @@ def chosen_paths(nodes: DataFrame, branches: int = 1) -> DataFrame:
         if len(levels) > ROUNDS:
             raise ValueError("the parents of some messages form a cycle")
         far = up.select(F.col("tree").alias("t"), F.col("node").alias("n"), F.col("up").alias("far"), F.col("gain").alias("more"), F.col("steps").alias("on"))
-        step = up.join(far, F.col("tree").eqNullSafe(F.col("t")) & (F.col("up") == F.col("n")), "left")
-        up = settle(step.select("tree", "node", F.col("far").alias("up"), (F.col("gain") + F.coalesce("more", F.lit(0.0))).alias("gain"), (F.col("steps") + F.coalesce("on", F.lit(0))).alias("steps")))
+        # pointers that have reached a root are done; only the others are joined again
+        step = up.where("up is not null").join(far, F.col("tree").eqNullSafe(F.col("t")) & (F.col("up") == F.col("n")), "left")
+        moved = step.select("tree", "node", F.col("far").alias("up"), (F.col("gain") + F.coalesce("more", F.lit(0.0))).alias("gain"), (F.col("steps") + F.coalesce("on", F.lit(0))).alias("steps"))
+        up = settle(moved.unionAll(up.where("up is null")))
         levels.append(up)
     parents = levels[0].where("up is not null").select(F.col("tree").alias("t"), F.col("up").alias("n")).distinct()
     leaves = up.join(parents, F.col("tree").eqNullSafe(F.col("t")) & (F.col("node") == F.col("n")), "left_anti")
