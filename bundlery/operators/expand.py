@@ -51,7 +51,9 @@ class BoxTable:
         below = np.where(np.isfinite(lo), np.minimum(lo - eps, np.nextafter(lo, -np.inf)), np.nan)
         above = np.where(np.isfinite(hi), hi, np.nan)
         # an open side has no edge to measure from: stay one step inside the closed one
-        middle = np.where(np.isfinite(lo) & np.isfinite(hi), (lo + hi) / 2, np.where(np.isfinite(lo), lo, np.where(np.isfinite(hi), np.nextafter(hi, -np.inf), 0.0)))
+        with np.errstate(invalid="ignore"):
+            centre = (lo + hi) / 2
+        middle = np.where(np.isfinite(lo) & np.isfinite(hi), centre, np.where(np.isfinite(lo), lo, np.where(np.isfinite(hi), np.nextafter(hi, -np.inf), 0.0)))
         steps = [[x for x in (p, m, q) if not np.isnan(x)] for p, m, q in zip(below, middle, above)]
         if probes == "grid":
             points = np.asarray(list(itertools.product(*steps)))
