@@ -98,7 +98,7 @@ class PackageResult:
         return df.join(F.broadcast(ids), "tid")
 
 
-def build_pyramid(df: DataFrame, attrs: list[str], d_f: float = DOWNSCALE, alpha: int = ALPHA, keep: tuple[str, ...] = (), rows: int = BUCKET_ROWS, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", weighted: bool = False, seed: int = 0) -> Pyramid:
+def build_pyramid(df: DataFrame, attrs: list[str], d_f: float = DOWNSCALE, alpha: int = ALPHA, keep: tuple[str, ...] = (), rows: int = BUCKET_ROWS, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", weighted: bool = False, seed: int = 0, scaling: str = "raw") -> Pyramid:
     """Layers until one has at most ``alpha`` rows; ``df`` has ``tid`` and the attributes.
 
     Every numeric attribute of ``attrs`` and ``keep`` is averaged into the
@@ -115,7 +115,7 @@ def build_pyramid(df: DataFrame, attrs: list[str], d_f: float = DOWNSCALE, alpha
     now = persist(df.where(fine).select(F.col("tid").cast("long").alias("tid"), *[F.col(c).cast("double").alias(c) for c in numbers], *[c for c in keep if c not in numbers], F.lit(1).cast("long").alias("w")))
     layers, groups, sizes = [], [], [now.count()]
     while sizes[-1] > alpha:
-        assign, boxes = partition_bucketed(now, attrs, d_f, rows, bucketing, scale, rank, seed + len(layers))
+        assign, boxes = partition_bucketed(now, attrs, d_f, rows, bucketing, scale, rank, seed + len(layers), scaling=scaling)
         placed = persist(now.join(assign.withColumnRenamed("gid", "gid_up"), "tid"))
         weight = F.col("w") if weighted else F.lit(1)
         means = placed.groupBy("gid_up").agg(*[(F.sum(F.col(c) * weight) / F.sum(weight)).alias(c) for c in numbers], F.sum("w").alias("w"), F.count("*").alias("cnt"), *[F.var_pop(c).alias(f"var_{c}") for c in attrs])

@@ -122,17 +122,19 @@ class Groups:
     hi: np.ndarray
 
 
-def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | str | float | None = None, rank: str = "total_variance", box: tuple | None = None, target: int | None = None) -> Groups:
+def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | str | float | None = None, rank: str = "total_variance", box: tuple | None = None, target: int | None = None, unit: np.ndarray | None = None) -> Groups:
     """Split rows into about ``len(points) / d_f`` groups of low variance.
 
     ``scale`` is the factors per attribute, one number for all, ``None`` to
     estimate them on these rows, or ``"search"`` to look for the right bound
     anew at every split.  ``rank`` orders the groups by ``total_variance`` (size
-    times variance) or ``variance``.  Splitting stops early where no group has
-    any variance left.
+    times variance) or ``variance``; variances of different attributes are compared
+    in squares of ``unit`` (raw by default).  Splitting stops early where no group
+    has any variance left.
     """
     points = np.asarray(points, float)
     n, k = points.shape
+    square = np.ones(k) if unit is None else np.asarray(unit, float) ** 2
     target = target if target is not None else max(1, math.ceil(n / d_f))
     order = np.arange(n)
     lo0 = np.full(k, -np.inf) if box is None else np.asarray(box[0], float)
@@ -151,11 +153,11 @@ def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | s
         nonlocal ticket
         part = points[order[start:end]]
         variance = part.var(axis=0)
-        j = int(np.argmax(variance))
+        j = int(np.argmax(variance / square))
         if end - start < 2 or variance[j] <= 1e-24 * (1 + np.abs(part[:, j]).max() ** 2):
             done.append((start, end, lo, hi))
             return
-        key = variance[j] * ((end - start) if rank == "total_variance" else 1)
+        key = variance[j] / square[j] * ((end - start) if rank == "total_variance" else 1)
         heapq.heappush(heap, (-key, ticket, start, end, j, float(variance[j]), lo, hi))
         ticket += 1
 
@@ -247,7 +249,7 @@ def bucket_edges(df: DataFrame, attr: str, stats: dict[str, float], rows: int, b
 GROUP_SHIFT = 40
 
 
-def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int = BUCKET_ROWS, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid") -> tuple[DataFrame, DataFrame]:
+def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int = BUCKET_ROWS, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw") -> tuple[DataFrame, DataFrame]:
     """``(assignment, groups)`` of a relation of any size.
 
     The most variable attribute is cut into buckets of at most ``rows`` rows, one
@@ -255,13 +257,17 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int =
     there with its own queue.  ``assignment`` is ``tid, gid``; ``groups`` is
     ``gid, cnt, lo, hi`` with half-open boxes that are disjoint and cover the
     space.  ``gid`` is the bucket number shifted left plus a local number.  A
-    bucket that ties keep over ``rows`` is partitioned whole.
+    bucket that ties keep over ``rows`` is partitioned whole.  With ``scaling``
+    ``zscore`` attributes of unlike magnitude weigh alike.
     """
     stats = profile(df, attrs)
     n = stats[attrs[0]]["n"]
     schema = "kind int, tid long, gid long, cnt long, lo array<double>, hi array<double>"
     key = max(range(len(attrs)), key=lambda j: stats[attrs[j]]["var"] or 0.0)
     edges = bucket_edges(df, attrs[key], stats[attrs[key]], rows, bucketing) if n else []
+    if scaling not in ("raw", "zscore"):
+        raise ValueError(f"unknown scaling {scaling!r}")
+    unit = np.asarray([math.sqrt(stats[a]["var"] or 0.0) or 1.0 for a in attrs]) if scaling == "zscore" else None
     factors = estimate_scale_factors(df, attrs, d_f, seed=seed, tid=tid) if scale is None else scale
     x = df.select(F.col(tid).cast("long").alias("tid"), *[F.col(a).cast("double").alias(a) for a in attrs]).withColumn("bucket", _case(F.col(attrs[key]), edges).cast("int"))
 
@@ -277,7 +283,7 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int =
             lo[key] = edges[bucket - 1]
         if bucket < len(edges):
             hi[key] = edges[bucket]
-        got = partition_low_variance(points, d_f, factors, rank, (lo, hi))
+        got = partition_low_variance(points, d_f, factors, rank, (lo, hi), unit=unit)
         base = bucket << GROUP_SHIFT
         count = np.bincount(got.assign, minlength=len(got.lo))
         g, m = len(got.lo), len(ids)

@@ -38,11 +38,11 @@ _pyramids: dict[tuple, Pyramid] = {}
 
 
 def pyramid_of(spark: SparkSession, sf_dir: str, view: str, alpha: int = LAYER_ROWS, d_f: float = DOWN) -> Pyramid:
-    """The view's pyramid, built on first use in a session."""
+    """The view's pyramid, built on first use in a session; attributes weigh alike."""
     key = (spark.sparkContext.applicationId, sf_dir, view, alpha, d_f)
     if key not in _pyramids:
         keep = ("returnflag",) if view == "li" else ()
-        _pyramids[key] = build_pyramid(VIEWS[view](spark, sf_dir), NUMBERS[view], d_f, alpha, keep)
+        _pyramids[key] = build_pyramid(VIEWS[view](spark, sf_dir), NUMBERS[view], d_f, alpha, keep, scaling="zscore")
     return _pyramids[key]
 
 
