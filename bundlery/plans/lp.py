@@ -35,7 +35,7 @@ class LinearProgram:
 
     def __post_init__(self):
         self.c = np.asarray(self.c, float)
-        self.A = np.atleast_2d(np.asarray(self.A, float)).reshape(-1, len(self.c))
+        self.A = np.atleast_2d(np.asarray(self.A, float)).reshape(len(np.atleast_1d(self.row_lo)), len(self.c))
         self.row_lo, self.row_hi = np.asarray(self.row_lo, float), np.asarray(self.row_hi, float)
         self.u = np.broadcast_to(np.asarray(self.u, float), self.c.shape).copy()
         self.l = np.zeros_like(self.c) if self.l is None else np.broadcast_to(np.asarray(self.l, float), self.c.shape).copy()
