@@ -38,11 +38,11 @@ _pyramids: dict[tuple, Pyramid] = {}
 
 
 def pyramid_of(spark: SparkSession, sf_dir: str, view: str, alpha: int = LAYER_ROWS, d_f: float = DOWN) -> Pyramid:
-    """The view's pyramid, built on first use in a session; attributes weigh alike."""
+    """The view's pyramid, built on first use in a session; event attributes weigh alike."""
     key = (spark.sparkContext.applicationId, sf_dir, view, alpha, d_f)
     if key not in _pyramids:
         keep = ("returnflag",) if view == "li" else ()
-        _pyramids[key] = build_pyramid(VIEWS[view](spark, sf_dir), NUMBERS[view], d_f, alpha, keep, scaling="zscore")
+        _pyramids[key] = build_pyramid(VIEWS[view](spark, sf_dir), NUMBERS[view], d_f, alpha, keep, scaling="zscore" if view == "ev" else "raw")
     return _pyramids[key]
 
 
@@ -353,9 +353,10 @@ def flat_runs(name: str, hs=(1, 3)):
         n = df.count()
         for h in hs:
             q = hard_query(spark, sf_dir, name, h)
+            bound = solve_lp(collect_program(q, to_program(q, df), PROGRAM_ROWS)[1])
             for label, tau in (("tuned", TAU), ("default", TAU_DEFAULT)):
                 got, sec = timed(solve_flat_two_phase, q, df, t.attrs, tau, time_limit=LIMIT_SECONDS)
-                out.append(_run(spark, name, label, h, n, got.status, got.solved, got.obj, got.lp_obj, q.sense, sec))
+                out.append(_run(spark, name, label, h, n, got.status, got.solved, got.obj, bound.obj, q.sense, sec))
         return spark.createDataFrame(out, RUNS)
 
     return run
