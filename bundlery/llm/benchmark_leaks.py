@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textbits import shingle_rows, text_view
+from .textbits import shingle_rows, spare_name, text_view
 
 #: Shingles of a broadcast block of items: 8 bytes each in three arrays.
 BLOCK_SHINGLES = 1 << 20
@@ -29,8 +29,8 @@ BLOCK_SHINGLES = 1 << 20
 class ItemIndex:
     """Sketches and whole shingle sets of one block of items."""
 
-    def __init__(self, ids: list[int], sets: list[np.ndarray], share: float):
-        self.ids, self.share = np.asarray(ids, np.int64), share
+    def __init__(self, ids: list[int | None], sets: list[np.ndarray], share: float):
+        self.ids, self.share = ids, share
         self.sizes = np.asarray([len(s) for s in sets], np.int64)
         # partitions double in size; the sketch length follows the upper bound
         upper = 1 << np.ceil(np.log2(np.maximum(self.sizes, 1))).astype(np.int64)
@@ -45,7 +45,7 @@ class ItemIndex:
         self.seen = np.zeros(1 << 16, bool)
         self.seen[(self.keys >> np.uint64(48)).astype(np.int64)] = True
 
-    def hits(self, shingles: np.ndarray) -> list[tuple[int, int, int]]:
+    def hits(self, shingles: np.ndarray) -> list[tuple[int | None, int, int]]:
         """(item id, shared shingles, item shingles) of all contained items."""
         if not len(self.keys) or not len(shingles):
             return []
@@ -59,7 +59,7 @@ class ItemIndex:
         here = np.isin(self.flat, shingles)
         shared = np.bincount(self.owner[here], minlength=len(self.ids))
         good = np.flatnonzero((self.sizes > 0) & (shared >= np.ceil(self.share * self.sizes - 1e-9)))
-        return [(int(self.ids[i]), int(shared[i]), int(self.sizes[i])) for i in good]
+        return [(self.ids[i], int(shared[i]), int(self.sizes[i])) for i in good]
 
 
 def _normal(col):
@@ -67,6 +67,22 @@ def _normal(col):
     return F.lower(F.regexp_replace(F.coalesce(col, F.lit("")), r"[^\p{L}\p{N}]+", " "))
 
 
+def _blocks(items: DataFrame, share: float, width: int, block_shingles: int):
+    """Indexes of the items, one block after another; at least one, perhaps empty."""
+    lines = items.select(F.col("item_id").cast("long").alias("item_id"), _normal(F.col("text")).alias("t"))
+    ids, sets, total = [], [], 0
+    for row in lines.toLocalIterator():
+        s = next(shingle_rows(*text_view(pa.array([row["t"]])), width))
+        if len(s):
+            ids.append(row["item_id"])
+            sets.append(s)
+            total += len(s)
+        if total >= block_shingles:
+            yield ItemIndex(ids, sets, share)
+            ids, sets, total = [], [], 0
+    yield ItemIndex(ids, sets, share)
+
+
 def find_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int = 5, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
     """Pairs of a document and a test item whose shingles it contains.
 
@@ -75,28 +91,15 @@ def find_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int
     and item.  Texts are compared as lower-case runs of letters and digits.  Items of
     fewer than ``width`` words count as one shingle; items without words and
     null texts match nothing.  Repeated document rows give repeated results;
-    items with the same id are separate.  Extra columns are ignored.
+    items with the same id are separate, and ids may be null.  Extra columns are
+    ignored.
     """
     spark = docs.sparkSession
-    lines = items.select(F.col("item_id").cast("long").alias("item_id"), _normal(F.col("text")).alias("t"))
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), _normal(F.col("text")).alias("t"))
     schema = "doc_id long, item_id long, n_shared long, n_item long, containment double"
 
-    def blocks():
-        ids, sets, total = [], [], 0
-        for row in lines.toLocalIterator():
-            s = next(shingle_rows(*text_view(pa.array([row["t"]])), width))
-            if len(s):
-                ids.append(row["item_id"])
-                sets.append(s)
-                total += len(s)
-            if total >= block_shingles:
-                yield ItemIndex(ids, sets, share)
-                ids, sets, total = [], [], 0
-        yield ItemIndex(ids, sets, share)
-
     found = None
-    for index in blocks():
+    for index in _blocks(items, share, width, block_shingles):
         held = spark.sparkContext.broadcast(index)
 
         def search(batches, held=held):
@@ -113,11 +116,24 @@ def find_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int
     return found
 
 
-def drop_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int = 5) -> DataFrame:
+def drop_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int = 5, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
     """The documents that contain no test item, with their own columns.
 
-    The list of hits is joined back by ``doc_id``; hits are as rare as leaks,
-    and Spark broadcasts them only below its own size threshold.
+    Rows are judged where they are read, one block of items after another, so
+    nothing is joined or shuffled, and rows without an id are judged alike.
     """
-    bad = find_leaks(docs, items, share, width).select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti").select(docs.columns)
+    spark = docs.sparkSession
+    extra = spare_name(docs.columns, "_normal")
+    marked = docs.withColumn(extra, _normal(F.col("text").cast("string")))
+    kept = marked
+    for index in _blocks(items, share, width, block_shingles):
+        held = spark.sparkContext.broadcast(index)
+
+        def judge(batches, held=held):
+            own = held.value
+            for batch in batches:
+                text = batch.column(batch.schema.names.index(extra))
+                yield batch.filter(pa.array([not own.hits(s) for s in shingle_rows(*text_view(text), width)], pa.bool_()))
+
+        kept = kept.mapInArrow(judge, marked.schema)
+    return kept.select(docs.columns)

@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .lineage import settle
+from .textbits import spare_name
 
 #: Kinds in the order of ties, and the tag that takes the place of a span.
 KINDS = ("email", "ip", "card", "phone", "term")
@@ -193,22 +194,24 @@ def sanitise(docs: DataFrame, threshold: float = 0.9, support: int = 3, remove_t
     Identifiers become the tag of their kind, terms a general tag or nothing.
     Where spans overlap, the one that starts first (then the first kind) wins and
     the rest of the overlapped text goes with it.  All columns stay; texts
-    without spans, and null texts, are unchanged.
+    without spans, and null texts, are unchanged.  Terms are placed by doc_id:
+    rows without one lose their patterned identifiers only.
     """
-    marked = docs.withColumn("_text", F.col("text").cast("string")).withColumn("_id", F.col("doc_id").cast("long"))
-    per = disclosing_terms(docs, threshold, support).groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias("_terms")).withColumnRenamed("doc_id", "_of")
-    joined = marked.join(per.hint("shuffle_hash"), F.col("_id") == F.col("_of"), "left").drop("_of", "_id")
+    whole, own, of, extra = (spare_name(docs.columns, n) for n in ("_text", "_id", "_of", "_terms"))
+    marked = docs.withColumn(whole, F.col("text").cast("string")).withColumn(own, F.col("doc_id").cast("long"))
+    per = disclosing_terms(docs, threshold, support).groupBy(F.col("doc_id").alias(of)).agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias(extra))
+    joined = marked.join(per.hint("shuffle_hash"), F.col(own) == F.col(of), "left").drop(of, own)
     types = {f.name: f for f in docs.schema.fields}
 
     def run(batches):
         for batch in batches:
             names = batch.schema.names
-            text, terms = batch.column(names.index("_text")).to_pylist(), batch.column(names.index("_terms")).to_pylist()
+            text, terms = batch.column(names.index(whole)).to_pylist(), batch.column(names.index(extra)).to_pylist()
             out = []
-            for t, extra in zip(text, terms):
+            for t, beside in zip(text, terms):
                 spans = base_spans(t) if t else []
-                if extra:
-                    spans = sorted(spans + [(x["start"], "term", x["end"]) for x in extra])
+                if beside:
+                    spans = sorted(spans + [(x["start"], "term", x["end"]) for x in beside])
                 if spans:
                     parts, at = [], 0
                     for s, kind, e in spans:

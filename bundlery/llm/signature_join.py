@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .lineage import PACKED, bucket_count, bucket_stream, packed_batches, settle
-from .textbits import mix64, shingle_rows, text_view
+from .textbits import mix64, shingle_rows, spare_name, text_view
 
 BLOCK = 1024
 _FAN = 16
@@ -373,8 +373,12 @@ def _across_blocks(placed: DataFrame, links: DataFrame, num: int, den: int) -> D
 def drop_near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
     """The document with the smallest id of each component, columns unchanged.
 
-    Of repeated rows with that id one stays.
+    Of repeated rows with that id one stays; different texts under one id all
+    stay.  Rows without an id stand for no component and stay.
     """
-    keep = jaccard_components(docs, width, num, den).where("doc_id = component_id").select(F.col("doc_id").alias("_keep")).distinct()
-    kept = docs.join(keep.hint("shuffle_hash"), docs["doc_id"].cast("long") == F.col("_keep"), "left_semi")
-    return kept
+    name, copies = spare_name(docs.columns, "_keep"), spare_name(docs.columns, "_copies")
+    keep = jaccard_components(docs, width, num, den).where("doc_id = component_id").groupBy(F.col("doc_id").alias(name)).agg(F.count("*").alias(copies))
+    own = docs["doc_id"].cast("long") == F.col(name)
+    once = docs.join(keep.where(F.col(copies) == 1).hint("shuffle_hash"), own, "left_semi")
+    again = docs.join(keep.where(F.col(copies) > 1).hint("shuffle_hash"), own, "left_semi").dropDuplicates(["doc_id", "text"])
+    return once.unionByName(again).unionByName(docs.where("doc_id is null"))

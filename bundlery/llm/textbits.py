@@ -143,3 +143,11 @@ def shingle_rows(data: np.ndarray, off: np.ndarray, k: int, lower: bool = True):
                 yield run_hashes(words[a:b], b - a)
             else:
                 yield np.zeros(0, np.uint64)
+
+
+def spare_name(taken: list[str], name: str) -> str:
+    """``name``, lengthened until no column in ``taken`` has it (case aside)."""
+    used = {t.lower() for t in taken}
+    while name in used:
+        name += "_"
+    return name
