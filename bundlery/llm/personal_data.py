@@ -1,25 +1,24 @@
 """Personal data: patterned identifiers, and terms that give them away.
 
 Four kinds of identifier are found by pattern.  Beyond them, sanitisation is
-information-theoretic: over the whole corpus, the documents where a term stands
-near an identifier are counted against all documents with the term and all with
-the identifier.  The pointwise mutual information of the two, as a share of the
-identifier's information content, says how much of it the term discloses: 1
-means that the term occurs nowhere else.  Terms over the threshold near that
-identifier become spans too, and are generalised or removed with it.
-
-Statistics are grouped counts on the executors.  Document frequencies are only
-counted for terms whose hash slot some candidate fills, so the broadcast filter
-has a fixed size.
+information-theoretic: over the whole corpus, the documents with a term and an
+identifier are counted against all documents with the term and all with the
+identifier.  The pointwise mutual information of the two, smoothed, as a share
+of the identifier's information content, says how much of it the term discloses:
+1 means that the term occurs nowhere else.  Terms over the threshold become
+spans in the documents of that identifier, and are generalised or removed with it.
+
+Statistics are grouped counts on the executors.  Terms with more documents than
+any identifier allows for are dropped before they meet identifiers.
 """
 
 from __future__ import annotations
 
 import re
 
-import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,9 +28,9 @@ from .textbits import spare_name
 #: Kinds in the order of ties, and the tag that takes the place of a span.
 KINDS = ("email", "ip", "card", "phone", "term")
 TAGS = {"email": "[EMAIL]", "ip": "[IP]", "card": "[CARD]", "phone": "[PHONE]", "term": "[TERM]"}
-#: Slots of the candidate filter; a fixed bound for what is broadcast.
-SLOTS = 1 << 20
-#: Characters on either side of an identifier in which terms count as near.
+#: Documents of the corpus's own share that smooth the estimate for a term.
+PRIOR = 0.5
+#: Characters on either side of an identifier that tell copies of a passage.
 NEAR = 60
 
 _AT = re.compile(r"@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+")
@@ -91,78 +90,108 @@ def _source(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
-def _surroundings(docs: DataFrame, near: int) -> DataFrame:
-    """One row for each term near an identifier: where, which, and in what context."""
+def _occurrences(docs: DataFrame, near: int) -> DataFrame:
+    """Rows with identifiers: one record for each identifier, and one for each term.
+
+    ``row`` numbers the table's rows.  ``context`` says what stands around the
+    identifier in that row, and is null for terms, which come from the whole
+    text; their places inside identifiers are left out.
+    """
+    fields = [("row", pa.int64()), ("doc_id", pa.int64()), ("key", pa.int64()), ("context", pa.int64()), ("starts", pa.list_(pa.int32())), ("ends", pa.list_(pa.int32()))]
+
+    def made(rows):
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(zip(*rows), fields)], [n for n, _ in fields])
 
     def run(batches):
+        row, rows = TaskContext.get().partitionId() << 40, []
         for batch in batches:
-            rows = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                row += 1
                 spans = base_spans(text) if text else []
+                if not spans:
+                    continue
+                around: dict[int, set[str]] = {}
                 for s, kind, e in spans:
-                    entity = _key(f"{kind}:{text[s:e].lower()}")
-                    lo, hi = max(0, s - near), min(len(text), e + near)
-                    context = _key(text[lo:hi])
-                    for m in _TERM.finditer(text, lo, hi):
-                        # whole words only, and none inside an identifier
-                        if (m.start() == lo > 0) or (m.end() == hi < len(text)) or any(m.start() < y and m.end() > x for x, _, y in spans):
-                            continue
-                        rows.append((doc, entity, _key(m[0].lower()), context, m.start(), m.end()))
-            if rows:
-                cols = list(zip(*rows))
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["doc_id", "entity", "term", "context", "start", "end"])
-
-    return _source(docs).mapInArrow(run, "doc_id long, entity long, term long, context long, start long, end long")
-
-
-def _document_counts(docs: DataFrame, slots: np.ndarray) -> DataFrame:
-    """``term, docs``: documents with each term whose slot is set."""
-    held = docs.sparkSession.sparkContext.broadcast(slots)
+                    around.setdefault(_key(f"{kind}:{text[s:e].lower()}"), set()).add(text[max(0, s - near) : e + near])
+                rows += [(row, doc, k, _key("\n".join(sorted(v))), None, None) for k, v in around.items()]
+                places: dict[str, tuple[list[int], list[int]]] = {}
+                at = far = 0
+                for m in _TERM.finditer(text):
+                    while at < len(spans) and spans[at][0] < m.end():
+                        far, at = max(far, spans[at][2]), at + 1
+                    starts, ends = places.setdefault(m[0].lower(), ([], []))
+                    if far <= m.start():
+                        starts.append(m.start())
+                        ends.append(m.end())
+                rows += [(row, doc, _key(w), None, *x) for w, x in places.items()]
+                if len(rows) > 50_000:
+                    yield made(rows)
+                    rows = []
+        if rows:
+            yield made(rows)
+
+    return _source(docs).mapInArrow(run, "row long, doc_id long, key long, context long, starts array<int>, ends array<int>")
+
+
+def _document_counts(docs: DataFrame) -> DataFrame:
+    """``term, docs``: rows with each term."""
 
     def run(batches):
-        wanted, counts, known = held.value, {}, {}
+        counts, known = {}, {}
         for batch in batches:
             for text in batch.column(1).to_pylist():
-                for word in set(_TERM.findall(text.lower())) if text else ():
+                for word in {w.lower() for w in set(_TERM.findall(text))} if text else ():
                     key = known.get(word)
                     if key is None:
-                        key = _key(word)
-                        if not wanted[key % SLOTS]:
-                            key = 0
                         if len(known) >= 200_000:
                             known.clear()
-                        known[word] = key
-                    if key:
-                        counts[key] = counts.get(key, 0) + 1
-            if len(counts) > 200_000:
-                yield pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.int64()), pa.array(counts.values(), pa.int64())], ["term", "docs"])
-                counts = {}
+                        key = known[word] = _key(word)
+                    counts[key] = counts.get(key, 0) + 1
+                if len(counts) > 200_000:
+                    yield pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.int64()), pa.array(counts.values(), pa.int64())], ["term", "docs"])
+                    counts = {}
         if counts:
             yield pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.int64()), pa.array(counts.values(), pa.int64())], ["term", "docs"])
 
     return _source(docs).mapInArrow(run, "term long, docs long").groupBy("term").agg(F.sum("docs").alias("docs"))
 
 
-def disclosing_terms(docs: DataFrame, threshold: float = 0.9, support: int = 3, near: int = NEAR) -> DataFrame:
-    """``doc_id, start, end`` of terms that disclose an identifier beside them.
+def disclosing_terms(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR, near: int = NEAR) -> DataFrame:
+    """``doc_id, start, end`` of terms that disclose an identifier of their document.
 
-    A pair counts from ``support`` different contexts on, so copies of one
-    passage are no evidence.
+    Every identifier is judged, with every term of its documents.  The chance of
+    the identifier given the term is smoothed by ``prior`` documents of the
+    corpus's own share, so that less is concluded from one document than from
+    many; documents with the same surroundings of ``near`` characters are copies
+    of one passage and count once.
     """
-    seen = settle(_surroundings(docs, near))
-    pairs = seen.groupBy("entity", "term", "context", "doc_id").agg(F.lit(1).alias("x")).groupBy("entity", "term").agg(F.countDistinct("context").alias("contexts"), F.countDistinct("doc_id").alias("both")).where(F.col("contexts") >= support)
-    pairs = settle(pairs)
-    slots = np.zeros(SLOTS, bool)
-    slots[[r[0] for r in pairs.select(F.pmod("term", F.lit(SLOTS)).alias("s")).distinct().collect()]] = True  # at most SLOTS numbers
-    if not slots.any():
-        return docs.sparkSession.createDataFrame([], "doc_id long, start long, end long")
-    total = docs.count()
-    entities = seen.select("entity", "doc_id").distinct().groupBy("entity").agg(F.count("*").alias("own"))
-    known = pairs.join(_document_counts(docs, slots), "term").join(entities, "entity")
-    mutual = F.log2(F.lit(float(total)) * F.col("both") / (F.col("docs") * F.col("own")))
-    content = F.log2(F.lit(float(total)) / F.col("own"))
-    found = known.where((content > 0) & (mutual >= F.lit(threshold) * content)).select("entity", "term")
-    return seen.join(found, ["entity", "term"]).select("doc_id", "start", "end").distinct()
+    spark = docs.sparkSession
+    seen = settle(_occurrences(docs, near))
+    marks = seen.where(F.col("context").isNotNull()).select("row", F.col("key").alias("entity"), "context")
+    terms = seen.where(F.col("context").isNull()).select("row", "doc_id", F.col("key").alias("term"), "starts", "ends")
+    marks = marks.join(marks.groupBy("entity", "context").agg(F.min("row").alias("passage")), ["entity", "context"])
+    # identifiers of the same rows and passages have the same terms: one of them stands for all
+    own = marks.groupBy("entity").agg(F.count("*").alias("own"), F.bit_xor(F.xxhash64("row", "passage")).alias("sign"))
+    own = settle(own.groupBy("sign", "own").agg(F.min("entity").alias("entity")))
+    total, most = docs.count(), own.agg(F.max("own")).first()[0]
+    if most is None:
+        return spark.createDataFrame([], "doc_id long, start long, end long")
+
+    def room(own):
+        """The most documents that a term can have and still disclose an identifier of ``own``."""
+        return (own + prior * own / total) * F.pow(F.lit(total) / own, F.lit(1 - threshold)) - prior + 1e-6
+
+    rare = _document_counts(docs).where(F.col("docs") <= room(F.lit(most)))
+    judged = marks.join(own, "entity").select("row", "entity", "passage", "own")
+    pairs = settle(terms.select("row", "term").join(rare, "term").join(judged, "row").where(F.col("docs") <= room(F.col("own"))))
+    each = pairs.groupBy("entity", "term", "passage").agg(F.count("*").alias("n"), F.min("docs").alias("docs"), F.min("own").alias("own"))
+    known = each.groupBy("entity", "term").agg(F.sum("n").alias("both"), F.count("*").alias("passages"), F.min("docs").alias("docs"), F.min("own").alias("own"))
+    share = F.col("own") / F.lit(float(total))
+    given = (F.col("passages") + prior * share) / (F.col("passages") + F.col("docs") - F.col("both") + prior)
+    found = known.where((share < 1) & (F.log2(given / share) >= threshold * -F.log2(share))).select("entity", "term")
+    hits = pairs.join(found, ["entity", "term"]).select("row", "term").distinct()
+    places = terms.join(hits, ["row", "term"]).select("doc_id", F.explode(F.arrays_zip("starts", "ends")).alias("x"))
+    return places.select("doc_id", F.col("x.starts").cast("long").alias("start"), F.col("x.ends").cast("long").alias("end")).distinct()
 
 
 def _with_terms(frame: DataFrame, terms: DataFrame) -> DataFrame:
@@ -170,7 +199,7 @@ def _with_terms(frame: DataFrame, terms: DataFrame) -> DataFrame:
     return frame.join(per, "doc_id", "left")
 
 
-def find_personal_data(docs: DataFrame, threshold: float = 0.9, support: int = 3) -> DataFrame:
+def find_personal_data(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR) -> DataFrame:
     """``doc_id, base, terms`` of each row: spans by pattern, and disclosing terms.
 
     ``base`` holds ``start, kind, end`` in code points, end exclusive, in order;
@@ -185,10 +214,10 @@ def find_personal_data(docs: DataFrame, threshold: float = 0.9, support: int = 3
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([[{"start": s, "kind": k, "end": e} for s, k, e in x] for x in spans], kind)], ["doc_id", "base"])
 
     base = _source(docs).mapInArrow(run, "doc_id long, base array<struct<start:long,kind:string,end:long>>")
-    return _with_terms(base, disclosing_terms(docs, threshold, support))
+    return _with_terms(base, disclosing_terms(docs, threshold, prior))
 
 
-def sanitise(docs: DataFrame, threshold: float = 0.9, support: int = 3, remove_terms: bool = False) -> DataFrame:
+def sanitise(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR, remove_terms: bool = False) -> DataFrame:
     """``docs`` with identifiers and disclosing terms replaced in ``text``.
 
     Identifiers become the tag of their kind, terms a general tag or nothing.
@@ -199,7 +228,7 @@ def sanitise(docs: DataFrame, threshold: float = 0.9, support: int = 3, remove_t
     """
     whole, own, of, extra = (spare_name(docs.columns, n) for n in ("_text", "_id", "_of", "_terms"))
     marked = docs.withColumn(whole, F.col("text").cast("string")).withColumn(own, F.col("doc_id").cast("long"))
-    per = disclosing_terms(docs, threshold, support).groupBy(F.col("doc_id").alias(of)).agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias(extra))
+    per = disclosing_terms(docs, threshold, prior).groupBy(F.col("doc_id").alias(of)).agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias(extra))
     joined = marked.join(per.hint("shuffle_hash"), F.col(own) == F.col(of), "left").drop(of, own)
     types = {f.name: f for f in docs.schema.fields}
 
