@@ -46,8 +46,8 @@ def from_wav(media: bytes) -> bytes:
 def peak_pairs(samples: bytes) -> np.ndarray:
     """Pairs of spectral peaks: ``time << 24 | bin << 16 | bin << 8 | distance``."""
     x = np.frombuffer(samples, np.uint8).astype(np.float32) - 128
-    if len(x) < FRAME:
-        x = np.concatenate([x, np.zeros(FRAME - len(x), np.float32)])
+    # silence up to a whole number of hops, so that every sample is in a frame
+    x = np.pad(x, (0, max(FRAME - len(x), (FRAME - len(x)) % HOP)))
     frames = np.lib.stride_tricks.sliding_window_view(x, FRAME)[::HOP]
     best, level = np.empty((len(frames), len(BANDS)), np.int64), np.empty((len(frames), len(BANDS)), np.float32)
     for at in range(0, len(frames), 4096):
