@@ -1,23 +1,30 @@
 """Licence scan by Dice coefficient over word bigrams, in DataFrame operations.
 
-Statements (lines and sentences) are compared with templates.  Three bounds cut
-the work before any bigram is counted, and none loses a match:
+Statements (lines, sentences, and runs of these joined over breaks) are compared
+with templates.  Bounds cut the work before any bigram is counted, and none
+loses a match:
 
 * anchors: of each template, words are chosen so that the bigrams without any
   of them are too few for the threshold; a statement without an anchor cannot
   match, and a document without one is never split;
 * sizes: ``Dice >= t`` needs ``t / (2 - t) <= |a| / |b| <= (2 - t) / t``;
 * an inverted index of the templates' bigrams, a broadcast of fixed size, joins
-  each statement only with the templates that it shares a bigram with.
+  each statement only with the templates that it shares a bigram with;
+* ends: a run whose first or last statement adds no bigram of a template is no
+  better than the run without it.
 """
 
 from __future__ import annotations
 
+import math
 import re
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .lineage import settle
+
 #: Licence statements that are looked for (fixed values).
 TEMPLATES = (
     ("apache-2.0", "Licensed under the Apache License, Version 2.0."),
@@ -35,6 +42,15 @@ TEMPLATES = (
     ("cc-by-4.0", "Licensed under CC BY 4.0."),
     ("cc0-1.0", "Released under CC0 1.0 Universal, no rights reserved."),
     ("unlicense", "This is free and unencumbered software released into the public domain."),
+    ("all-rights-reserved", "All rights reserved."),
+    # headers of files
+    ("apache-2.0", 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License.'),
+    ("gpl-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version."),
+    ("gpl-2.0", "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version."),
+    # paragraphs of full texts
+    ("mit", 'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:'),
+    ("bsd", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:"),
+    ("isc", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
 )
 THRESHOLD = 0.8
 
@@ -70,10 +86,16 @@ def _has_anchor(lowered: Column, words: list[str]) -> Column:
     return hit
 
 
+def _pairs(words: Column) -> Column:
+    """Each word with the next one; the last word has none."""
+    return F.filter(F.zip_with(words, F.slice(words, 2, 1 << 30), lambda a, b: F.concat(a, F.lit(" "), b)), lambda g: g.isNotNull())
+
+
 def scan_licences(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """``doc_id, licence, n_statements, best_dice`` of each document and licence.
 
-    A statement is a line, or a sentence of one; it counts for every template
+    A statement is a line, a sentence of one, or a run of these of at most the
+    words of the longest match; it counts for every template
     with a Dice coefficient of ``threshold`` and more over distinct word bigrams
     of its lower-case letters and digits.  Null texts, and statements of fewer
     than two words, match nothing.  Rows that share a doc_id are counted together.
@@ -86,19 +108,46 @@ def scan_licences(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     least, most = threshold / (2 - threshold) * sizes[0], (2 - threshold) / threshold * sizes[-1]
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.lower(F.col("text").cast("string")).alias("t")).where(_has_anchor(F.col("t"), need))
     cut = F.split(F.regexp_replace("t", r"([.!?])[ \t\r\f]+", "$1\n"), "\n")
-    lines = texts.select("doc_id", F.posexplode(cut).alias("line", "s")).where(_has_anchor(F.col("s"), need))
-    words = lines.select("doc_id", "line", F.filter(F.split(F.regexp_replace("s", "[^a-z0-9]+", " "), " "), lambda w: w != "").alias("w"))
-    # distinct bigrams can be fewer than pairs of words, so only the lower bound holds here
-    words = words.where(F.size("w") - 1 >= least)
-    # the pair of each word with the next one; the last word has none
-    pairs = F.array_distinct(F.filter(F.zip_with("w", F.slice("w", 2, 1 << 30), lambda a, b: F.concat(a, F.lit(" "), b)), lambda g: g.isNotNull()))
-    grams = words.select("doc_id", "line", pairs.alias("g")).where(F.size("g").between(least, most))
-    each = grams.select("doc_id", "line", F.size("g").alias("n"), F.explode("g").alias("bigram"))
+    texts = settle(texts.withColumn("row", F.monotonically_increasing_id()))
+    every = texts.select("row", "doc_id", F.posexplode(cut).alias("line", "s"))
+    every = every.select("row", "doc_id", "line", "s", F.filter(F.split(F.regexp_replace("s", "[^a-z0-9]+", " "), " "), lambda w: w != "").alias("w"))
     fits = (F.col("n") * (2 - threshold) >= threshold * F.col("size")) & (F.col("n") * threshold <= (2 - threshold) * F.col("size"))
-    shared = each.join(F.broadcast(templates), "bigram").where(fits).groupBy("doc_id", "line", "template", "licence", "n", "size").agg(F.count("*").alias("both"))
-    dice = F.lit(2.0) * F.col("both") / (F.col("n") + F.col("size"))
-    best = shared.withColumn("dice", dice).where(F.col("dice") >= threshold - 1e-12).groupBy("doc_id", "line", "licence").agg(F.max("dice").alias("dice"))
-    return best.groupBy("doc_id", "licence").agg(F.count("*").alias("n_statements"), F.round(F.max("dice"), 6).alias("best_dice"))
+    where = ["row", "doc_id", "line", "last"]
+
+    def matched(words: DataFrame) -> DataFrame:
+        """Statements and licences with the best Dice coefficient of the licence's templates."""
+        # distinct bigrams can be fewer than pairs of words, so only the lower bound holds here
+        grams = words.where(F.size("w") - 1 >= least).select(*where, F.array_distinct(_pairs(F.col("w"))).alias("g")).where(F.size("g").between(least, most))
+        each = grams.select(*where, F.size("g").alias("n"), F.explode("g").alias("bigram"))
+        shared = each.join(F.broadcast(templates), "bigram").where(fits).groupBy(*where, "template", "licence", "n", "size").agg(F.count("*").alias("both"))
+        dice = F.lit(2.0) * F.col("both") / (F.col("n") + F.col("size"))
+        return shared.withColumn("dice", dice).where(F.col("dice") >= threshold - 1e-12).groupBy(*where, "licence").agg(F.max("dice").alias("dice"))
+
+    single = matched(every.where(_has_anchor(F.col("s"), need)).withColumn("last", F.col("line")))
+    # each statement with those that begin within the longest statement's words
+    known = F.array(*[F.lit(g) for g in sorted({g for _, _, g, _ in index})])
+    order = W.partitionBy("row").orderBy("line")
+    placed = every.where(F.size("w") > 0).withColumn("at", F.sum(F.size("w")).over(order.rowsBetween(W.unboundedPreceding, 0)) - F.size("w"))
+    placed = placed.withColumn("after", F.lead(F.slice("w", 1, 1)).over(order)).withColumn("before", F.lag(F.slice("w", -1, 1)).over(order))
+    opens = F.arrays_overlap(_pairs(F.concat("w", "after")), known)
+    closes = F.arrays_overlap(_pairs(F.concat("before", "w")), known)
+    ahead = W.partitionBy("row").orderBy("at").rangeBetween(0, math.floor(most))
+    runs = placed.withColumn("opens", opens).withColumn("closes", closes).withColumn("run", F.collect_list(F.struct("line", "w", F.coalesce("closes", F.lit(False)).alias("closes"))).over(ahead))
+    runs = runs.where(F.col("opens") & (F.size("run") > 1)).select("row", "doc_id", "line", "run", F.explode(F.sequence(F.lit(2), F.size("run"))).alias("k"))
+    runs = runs.where(F.element_at("run", F.col("k"))["closes"])
+    runs = runs.select("row", "doc_id", "line", F.element_at("run", F.col("k"))["line"].alias("last"), F.flatten(F.transform(F.slice("run", F.lit(1), F.col("k")), lambda x: x["w"])).alias("w")).where(F.size("w") - 1 <= most)
+    joined = matched(runs.where(_has_anchor(F.array_join("w", " "), need)))
+    # a run around a statement that matches by itself is that statement; of runs that overlap the best stays
+    alone = single.select(F.col("row").alias("of"), F.col("licence").alias("named"), F.col("line").alias("own"))
+    joined = joined.join(alone, (F.col("row") == F.col("of")) & (F.col("licence") == F.col("named")) & F.col("own").between(F.col("line"), F.col("last")), "left_anti")
+    apart = F.aggregate(
+        F.sort_array(F.collect_list(F.struct((-F.col("dice")).alias("order"), "line", "last"))),
+        F.array().cast("array<struct<order:double,line:int,last:int>>"),
+        lambda held, x: F.when(F.exists(held, lambda y: (x["line"] <= y["last"]) & (y["line"] <= x["last"])), held).otherwise(F.concat(held, F.array(x))),
+    )
+    joined = joined.groupBy("row", "doc_id", "licence").agg(F.max("dice").alias("dice"), F.size(apart).cast("long").alias("new"))
+    best = single.select("row", "doc_id", "licence", "dice", F.lit(1).cast("long").alias("new")).unionByName(joined)
+    return best.groupBy("doc_id", "licence").agg(F.sum("new").alias("n_statements"), F.round(F.max("dice"), 6).alias("best_dice"))
 
 
 def _quoted(s: str) -> str:
