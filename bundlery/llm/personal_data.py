@@ -19,7 +19,7 @@ import re
 import pyarrow as pa
 import xxhash
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .lineage import settle
@@ -87,7 +87,17 @@ def _key(text: str) -> int:
 
 
 def _source(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *text_key(F.col("text").cast("string")))
+
+
+def text_key(text: Column) -> list[Column]:
+    """Two hashes, ``k1`` and ``k2``, that tell texts under one doc_id apart."""
+    return [F.xxhash64(F.lit(i), text).alias(f"k{i}") for i in (1, 2)]
+
+
+def _places(terms: DataFrame, name: str) -> DataFrame:
+    """One row for each document of ``disclosing_terms``, its spans as an array in order."""
+    return terms.groupBy("doc_id", "k1", "k2").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias(name))
 
 
 def _occurrences(docs: DataFrame, near: int) -> DataFrame:
@@ -97,7 +107,7 @@ def _occurrences(docs: DataFrame, near: int) -> DataFrame:
     identifier in that row, and is null for terms, which come from the whole
     text; their places inside identifiers are left out.
     """
-    fields = [("row", pa.int64()), ("doc_id", pa.int64()), ("key", pa.int64()), ("context", pa.int64()), ("starts", pa.list_(pa.int32())), ("ends", pa.list_(pa.int32()))]
+    fields = [("row", pa.int64()), ("doc_id", pa.int64()), ("k1", pa.int64()), ("k2", pa.int64()), ("key", pa.int64()), ("context", pa.int64()), ("starts", pa.list_(pa.int32())), ("ends", pa.list_(pa.int32()))]
 
     def made(rows):
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(zip(*rows), fields)], [n for n, _ in fields])
@@ -105,7 +115,7 @@ def _occurrences(docs: DataFrame, near: int) -> DataFrame:
     def run(batches):
         row, rows = TaskContext.get().partitionId() << 40, []
         for batch in batches:
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            for doc, text, k1, k2 in zip(*(c.to_pylist() for c in batch.columns)):
                 row += 1
                 spans = base_spans(text) if text else []
                 if not spans:
@@ -113,7 +123,7 @@ def _occurrences(docs: DataFrame, near: int) -> DataFrame:
                 around: dict[int, set[str]] = {}
                 for s, kind, e in spans:
                     around.setdefault(_key(f"{kind}:{text[s:e].lower()}"), set()).add(text[max(0, s - near) : e + near])
-                rows += [(row, doc, k, _key("\n".join(sorted(v))), None, None) for k, v in around.items()]
+                rows += [(row, doc, k1, k2, k, _key("\n".join(sorted(v))), None, None) for k, v in around.items()]
                 places: dict[str, tuple[list[int], list[int]]] = {}
                 at = far = 0
                 for m in _TERM.finditer(text):
@@ -123,14 +133,14 @@ def _occurrences(docs: DataFrame, near: int) -> DataFrame:
                     if far <= m.start():
                         starts.append(m.start())
                         ends.append(m.end())
-                rows += [(row, doc, _key(w), None, *x) for w, x in places.items()]
+                rows += [(row, doc, k1, k2, _key(w), None, *x) for w, x in places.items()]
                 if len(rows) > 50_000:
                     yield made(rows)
                     rows = []
         if rows:
             yield made(rows)
 
-    return _source(docs).mapInArrow(run, "row long, doc_id long, key long, context long, starts array<int>, ends array<int>")
+    return _source(docs).mapInArrow(run, "row long, doc_id long, k1 long, k2 long, key long, context long, starts array<int>, ends array<int>")
 
 
 def _document_counts(docs: DataFrame) -> DataFrame:
@@ -157,7 +167,10 @@ def _document_counts(docs: DataFrame) -> DataFrame:
 
 
 def disclosing_terms(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR, near: int = NEAR) -> DataFrame:
-    """``doc_id, start, end`` of terms that disclose an identifier of their document.
+    """``doc_id, k1, k2, start, end`` of terms that disclose an identifier of their document.
+
+    ``k1`` and ``k2`` are the document's ``text_key``, so documents with one doc_id
+    keep their own spans.
 
     Every identifier is judged, with every term of its documents.  The chance of
     the identifier given the term is smoothed by ``prior`` documents of the
@@ -168,14 +181,14 @@ def disclosing_terms(docs: DataFrame, threshold: float = 0.9, prior: float = PRI
     spark = docs.sparkSession
     seen = settle(_occurrences(docs, near))
     marks = seen.where(F.col("context").isNotNull()).select("row", F.col("key").alias("entity"), "context")
-    terms = seen.where(F.col("context").isNull()).select("row", "doc_id", F.col("key").alias("term"), "starts", "ends")
+    terms = seen.where(F.col("context").isNull()).select("row", "doc_id", "k1", "k2", F.col("key").alias("term"), "starts", "ends")
     marks = marks.join(marks.groupBy("entity", "context").agg(F.min("row").alias("passage")), ["entity", "context"])
     # identifiers of the same rows and passages have the same terms: one of them stands for all
     own = marks.groupBy("entity").agg(F.count("*").alias("own"), F.bit_xor(F.xxhash64("row", "passage")).alias("sign"))
     own = settle(own.groupBy("sign", "own").agg(F.min("entity").alias("entity")))
     total, most = docs.count(), own.agg(F.max("own")).first()[0]
     if most is None:
-        return spark.createDataFrame([], "doc_id long, start long, end long")
+        return spark.createDataFrame([], "doc_id long, k1 long, k2 long, start long, end long")
 
     def room(own):
         """The most documents that a term can have and still disclose an identifier of ``own``."""
@@ -190,13 +203,13 @@ def disclosing_terms(docs: DataFrame, threshold: float = 0.9, prior: float = PRI
     given = (F.col("passages") + prior * share) / (F.col("passages") + F.col("docs") - F.col("both") + prior)
     found = known.where((share < 1) & (F.log2(given / share) >= threshold * -F.log2(share))).select("entity", "term")
     hits = pairs.join(found, ["entity", "term"]).select("row", "term").distinct()
-    places = terms.join(hits, ["row", "term"]).select("doc_id", F.explode(F.arrays_zip("starts", "ends")).alias("x"))
-    return places.select("doc_id", F.col("x.starts").cast("long").alias("start"), F.col("x.ends").cast("long").alias("end")).distinct()
+    places = terms.join(hits, ["row", "term"]).select("doc_id", "k1", "k2", F.explode(F.arrays_zip("starts", "ends")).alias("x"))
+    return places.select("doc_id", "k1", "k2", F.col("x.starts").cast("long").alias("start"), F.col("x.ends").cast("long").alias("end")).distinct()
 
 
-def _with_terms(frame: DataFrame, terms: DataFrame) -> DataFrame:
-    per = terms.groupBy("doc_id").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias("terms"))
-    return frame.join(per, "doc_id", "left")
+def _same(a: tuple[str, str, str], b: tuple[str, str, str]) -> Column:
+    """Whether two rows are of one document; a null doc_id is one too."""
+    return F.col(a[0]).eqNullSafe(F.col(b[0])) & (F.col(a[1]) == F.col(b[1])) & (F.col(a[2]) == F.col(b[2]))
 
 
 def find_personal_data(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR) -> DataFrame:
@@ -211,10 +224,11 @@ def find_personal_data(docs: DataFrame, threshold: float = 0.9, prior: float = P
         for batch in batches:
             spans = [base_spans(t) if t else [] for t in batch.column(1).to_pylist()]
             kind = pa.list_(pa.struct([("start", pa.int64()), ("kind", pa.string()), ("end", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([[{"start": s, "kind": k, "end": e} for s, k, e in x] for x in spans], kind)], ["doc_id", "base"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array([[{"start": s, "kind": k, "end": e} for s, k, e in x] for x in spans], kind)], ["id", "a", "b", "base"])
 
-    base = _source(docs).mapInArrow(run, "doc_id long, base array<struct<start:long,kind:string,end:long>>")
-    return _with_terms(base, disclosing_terms(docs, threshold, prior))
+    base = _source(docs).mapInArrow(run, "id long, a long, b long, base array<struct<start:long,kind:string,end:long>>")
+    terms = _places(disclosing_terms(docs, threshold, prior), "terms")
+    return base.join(terms, _same(("id", "a", "b"), ("doc_id", "k1", "k2")), "left").select(F.col("id").alias("doc_id"), "base", "terms")
 
 
 def sanitise(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR, remove_terms: bool = False) -> DataFrame:
@@ -223,13 +237,14 @@ def sanitise(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR, remo
     Identifiers become the tag of their kind, terms a general tag or nothing.
     Where spans overlap, the one that starts first (then the first kind) wins and
     the rest of the overlapped text goes with it.  All columns stay; texts
-    without spans, and null texts, are unchanged.  Terms are placed by doc_id:
-    rows without one lose their patterned identifiers only.
+    without spans, and null texts, are unchanged.
     """
-    whole, own, of, extra = (spare_name(docs.columns, n) for n in ("_text", "_id", "_of", "_terms"))
-    marked = docs.withColumn(whole, F.col("text").cast("string")).withColumn(own, F.col("doc_id").cast("long"))
-    per = disclosing_terms(docs, threshold, prior).groupBy(F.col("doc_id").alias(of)).agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias(extra))
-    joined = marked.join(per.hint("shuffle_hash"), F.col(own) == F.col(of), "left").drop(of, own)
+    whole, extra = (spare_name(docs.columns, n) for n in ("_text", "_terms"))
+    own, of = ([spare_name([*docs.columns, whole, extra], n + side) for n in ("_id", "_k1_", "_k2_")] for side in ("own", "of"))
+    k1, k2 = text_key(F.col("text").cast("string"))
+    marked = docs.select("*", F.col("text").cast("string").alias(whole), F.col("doc_id").cast("long").alias(own[0]), k1.alias(own[1]), k2.alias(own[2]))
+    per = _places(disclosing_terms(docs, threshold, prior), extra).select(extra, *[F.col(a).alias(b) for a, b in zip(("doc_id", "k1", "k2"), of)])
+    joined = marked.join(per.hint("shuffle_hash"), _same(own, of), "left").drop(*own, *of)
     types = {f.name: f for f in docs.schema.fields}
 
     def run(batches):
