@@ -13,6 +13,7 @@ part offsets), so a length that very many pieces share is no single task.
 
 from __future__ import annotations
 
+import json
 import sys
 import zlib
 from array import array
@@ -26,7 +27,7 @@ from .lineage import settle
 
 CAPACITY = 2048
 #: Chunks and words that one worker remembers; beyond that it starts anew.
-REMEMBERED, REMEMBERED_WORDS = 1_200_000, 700_000
+REMEMBERED, REMEMBERED_WORDS = 400_000, 300_000
 #: Signs that may follow a word in a chunk (fixed value).
 TAIL = ".,;:!?*#$%&|"
 _SEPARATORS = "\x1c\x1d\x1e\x1f"
@@ -90,16 +91,44 @@ def plan_bins(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple
     return rows
 
 
+#: The steps for which chunks between white space are independent, and words of
+#: composed Latin letters may skip normalisation (fixed values of the vocabulary format).
+NORMALISED = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]
+WORD_RULE = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
+
+def splits_at_space(spec: dict) -> bool:
+    """Whether a vocabulary file has the steps that ``WordIds`` shortens."""
+    normal, pre = spec.get("normalizer") or {}, (spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}, {}]
+    first, last = pre[0], pre[-1]
+    return (
+        normal.get("normalizers") == NORMALISED
+        and len(pre) == 2
+        and (first.get("type"), first.get("pattern"), first.get("behavior"), first.get("invert")) == ("Split", {"Regex": WORD_RULE}, "Removed", True)
+        and (last.get("type"), last.get("add_prefix_space"), last.get("use_regex")) == ("ByteLevel", False, False)
+        and spec["model"]["type"] == "BPE"
+        and not spec["model"].get("dropout")
+        and not any(x["lstrip"] or x["rstrip"] or x["single_word"] or x["normalized"] for x in spec["added_tokens"])
+    )
+
+
 class WordIds(dict):
-    """White-space-free chunk -> its ids as little-endian 32-bit bytes."""
+    """White-space-free chunk -> its ids as little-endian 32-bit bytes.
 
-    def __init__(self, path: str):
+    ``spec`` is the text of a vocabulary file.  Files with other steps than the
+    known ones are applied to whole texts.
+    """
+
+    def __init__(self, spec: str):
         super().__init__()
         from tokenizers import Tokenizer
 
         if sys.byteorder != "little" or array("I").itemsize != 4:
             raise RuntimeError("ids are kept as little-endian 32-bit numbers")
-        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer = Tokenizer.from_str(spec)
+        self.tokenizer.no_truncation()
+        self.tokenizer.no_padding()
+        self.known = splits_at_space(json.loads(spec))
         self.special = [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
         self.words: dict[str, bytes] = {}
         printable = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
@@ -137,26 +166,31 @@ class WordIds(dict):
 
     def ids(self, text: str) -> bytes:
         """Ids of a text: no pre-token crosses white space, so chunks are independent."""
-        if any(s in text for s in self.special) or any(c in text for c in _SEPARATORS):
+        if not self.known or any(s in text for s in self.special) or any(c in text for c in _SEPARATORS):
             return self.encoded(text)
         return b"".join(map(self.__getitem__, text.split()))
 
 
-_words: dict[str, WordIds] = {}
+_words: dict[int, WordIds] = {}
 
 
 def token_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end_id: int = 0) -> DataFrame:
     """``doc_id, piece, start, length, ids_crc32``: each document's ids, then ``end_id``.
 
     Only documents of more than ``capacity`` ids are cut.  A null or empty text
-    is the end id alone.  ``vocabulary`` must be readable where the code runs.
+    is the end id alone.  The driver reads the file ``vocabulary`` and broadcasts
+    its text, whose size the vocabulary bounds.
     """
+    with open(vocabulary, encoding="utf-8") as f:
+        held = docs.sparkSession.sparkContext.broadcast(f.read())
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
     def run(batches):
-        if vocabulary not in _words:
-            _words[vocabulary] = WordIds(vocabulary)
-        ids, end = _words[vocabulary].ids, end_id.to_bytes(4, "little")
+        own = hash(held.value)
+        if own not in _words:
+            _words.clear()
+            _words[own] = WordIds(held.value)
+        ids, end = _words[own].ids, end_id.to_bytes(4, "little")
         for batch in batches:
             rows = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
@@ -171,13 +205,20 @@ def token_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end
     return source.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
-def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, parts: int = 64) -> DataFrame:
+#: Pieces of one length that a task ranks.
+RANKED = 1 << 20
+
+
+def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY, ranked: int = RANKED) -> DataFrame:
     """``pieces`` with ``sequence_id`` and ``offset``; ``pieces`` must be settled.
 
     The histogram (at most ``capacity`` rows) is the only thing the driver sees.
+    The most frequent length decides into how many parts lengths are dealt, so
+    that about ``ranked`` pieces of a length are ranked together.
     """
     spark = pieces.sparkSession
     histogram = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
+    parts = max(64, -(-max(histogram.values(), default=0) // ranked))
     rows = plan_bins(histogram, capacity)
     plan = spark.createDataFrame(rows, "length long, lo long, hi long, first long, each long, at long")
     part = pieces.withColumn("part", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(parts)).cast("int"))
