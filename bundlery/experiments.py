@@ -1,0 +1,278 @@
+"""Experiments on many sub-relations, each run whole by one task.
+
+A sub-relation is the rows whose id hashes below a share under a seed.  A task
+takes one sub-relation at one hardness, builds every partition before any method
+is timed, and returns a row a method; medians, quartiles and rates are aggregates
+over those rows.  Searches end by numbers of nodes, never by the clock, so what
+is found does not depend on the machine or on the order of methods.
+"""
+
+from __future__ import annotations
+
+import math
+import time
+from collections.abc import Callable
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions.hardness import TEMPLATES, instantiate, stats_of
+from .functions.lang import to_program
+from .functions.metrics import downscale, integrality_gap, parallel_fraction
+from .operators import inmemory as mem
+from .operators.flat import TAU, TAU_DEFAULT
+from .operators.partition import partition_low_variance, ratio_score, scale_factors_of, scan_line, theory_beta
+from .plans.ilp import feasible, solve_ilp
+from .plans.lp import solve_lp
+from .plans.reduced import solve_reduced_ilp
+
+#: Rows of a layer's candidates and downscale factor: small, so that sub-relations have layers.
+ALPHA, DOWN = 1000, 10
+HARDNESS = (1, 3, 5, 7)
+#: Nodes of a search; the direct solver, the standard of accuracy, gets more.
+NODES, DIRECT_NODES = 1000, 3000
+
+RUNS = "workload string, variant string, share double, seed int, h int, n long, partition_seconds double, status string, solved boolean, feasible boolean, obj double, lp_obj double, gap double, seconds double"
+_NAMES = [c.split()[0] for c in RUNS.split(", ")]
+
+
+def sub_relations(df: DataFrame, shares: tuple[float, ...], seeds: int, hs: tuple[int, ...]) -> DataFrame:
+    """``df`` with ``share, seed, h``: each row once for every sub-relation that it is in."""
+    grain = 1 << 30
+    cells = [F.struct(F.lit(float(s)).alias("share"), F.lit(r).alias("seed"), F.lit(h).alias("h")) for s in shares for r in range(seeds) for h in hs]
+    inside = F.filter(F.array(*cells), lambda c: F.pmod(F.xxhash64(F.col("tid"), c["seed"]), F.lit(grain)) < (c["share"] * grain).cast("long"))
+    return df.withColumn("_cell", F.explode(inside)).select(*df.columns, "_cell.share", "_cell.seed", "_cell.h")
+
+
+def _methods(variants: dict[str, dict]) -> Callable:
+    """Runs of each variant on one sub-relation; partitions with equal parameters are made once."""
+
+    def run(q, cols, values):
+        pyramids, groups, whole = {}, {}, mem.program(q, cols, values)
+        for o in variants.values():
+            if o["method"] == "hierarchy":
+                key = (o.get("alpha", ALPHA), o.get("d_f", DOWN), o.get("scaling", "raw"))
+                pyramids.setdefault(key, None) or pyramids.update({key: mem.build(cols, values, key[1], key[0], key[2])})
+            if o["method"] == "flat" and o["tau"] not in groups:
+                began = time.monotonic()
+                groups[o["tau"]] = (mem.mean_split(values, max(1.0, o["tau"] * len(values))), time.monotonic() - began)
+        for label, o in variants.items():
+            options = {k: v for k, v in o.items() if k not in ("method", "alpha", "d_f", "scaling", "tau")}
+            built = 0.0
+            if o["method"] == "hierarchy":
+                p = pyramids[o.get("alpha", ALPHA), o.get("d_f", DOWN), o.get("scaling", "raw")]
+                built = p.seconds
+                got = mem.descend(q, p, o.get("alpha", ALPHA), node_limit=NODES, **options)
+            elif o["method"] == "flat":
+                assign, built = groups[o["tau"]]
+                got = mem.flat(q, cols, values, assign, node_limit=NODES)
+            elif o["method"] == "direct":
+                got = solve_ilp(whole, node_limit=DIRECT_NODES)
+            else:
+                got = solve_reduced_ilp(whole, node_limit=NODES, **options)
+            yield label, built, got
+
+    return run
+
+
+def runs(name: str, variants: dict[str, dict], view: Callable[[SparkSession, str], DataFrame], shares=(0.1,), seeds: int = 3, hs=HARDNESS, truth: bool = False) -> Callable[[SparkSession, str], DataFrame]:
+    """One row for each variant, sub-relation and hardness."""
+    t = TEMPLATES[name]
+    cols = list(dict.fromkeys(t.attrs))
+    methods = _methods(variants)
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = view(spark, sf_dir).select("tid", *cols)
+        stats = stats_of(df, cols)
+
+        def one(table: pd.DataFrame) -> pd.DataFrame:
+            share, seed, h = (table[c].iloc[0] for c in ("share", "seed", "h"))
+            values = table.sort_values("tid")[cols].to_numpy(float)
+            q = instantiate(t, float(h), stats)
+            lp = mem.program(q, cols, values)
+            bound = solve_lp(lp)
+            known = feasible(lp, node_limit=DIRECT_NODES) if truth else None
+            fine = lambda v: float(v) if v is not None and math.isfinite(v) else None
+            out = []
+            for label, built, got in methods(q, cols, values):
+                obj = fine(got.obj) if got.solved else None
+                # any solution proves feasibility
+                out.append((name, label, float(share), int(seed), int(h), len(values), built, got.status, got.solved, bool(known or got.solved), obj, fine(bound.obj), integrality_gap(obj, fine(bound.obj), q.sense), got.seconds))
+            return pd.DataFrame(out, columns=_NAMES)
+
+        cells = sub_relations(df, shares, seeds, hs)
+        # a task for each sub-relation and hardness
+        parts = len(shares) * seeds * len(hs)
+        return cells.repartition(4 * parts, "share", "seed", "h").groupBy("share", "seed", "h").applyInPandas(one, RUNS)
+
+    return run
+
+
+def summary(of: Callable[[SparkSession, str], DataFrame], by: tuple[str, ...]) -> Callable[[SparkSession, str], DataFrame]:
+    """Rates, medians and quartiles of runs."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        table = of(spark, sf_dir)
+        low, mid, high = (F.percentile("gap", q) for q in (0.25, 0.5, 0.75))
+        return table.groupBy("workload", "variant", *by).agg(
+            F.max("n").alias("n"), F.count("*").alias("instances"), F.sum(F.col("solved").cast("int")).alias("solved"), F.sum(F.col("feasible").cast("int")).alias("feasible"),
+            F.sum((F.col("feasible") & ~F.col("solved")).cast("int")).alias("false_infeasible"), low.alias("gap_q1"), mid.alias("gap_median"), high.alias("gap_q3"),
+            F.percentile("seconds", 0.5).alias("seconds_median"), F.percentile("partition_seconds", 0.5).alias("partition_seconds_median"),
+        )
+
+    return run
+
+
+THREE = {"hierarchy": {"method": "hierarchy"}, "direct": {"method": "direct"}, "flat": {"method": "flat", "tau": TAU}}
+CHOICES: dict[str, dict[str, dict]] = {
+    "relaxation": {"lp": {"method": "hierarchy"}, "ilp": {"method": "hierarchy", "layer_relaxation": "ilp"}},
+    "augmenter": {"neighbours": {"method": "hierarchy"}, "random": {"method": "hierarchy", "augmenter": "random"}},
+    "auxiliary": {a: {"method": "reduced", "q": 500, "aux": a} for a in ("lp", "random")},
+    "reduced_size": {f"q={q}": {"method": "reduced", "q": q} for q in (50, 500, 5000)},
+    "final_solver": {f: {"method": "hierarchy", "final": f} for f in ("reduced", "direct")},
+    "grid": {f"alpha={a} d_f={d}": {"method": "hierarchy", "alpha": a, "d_f": d} for a in (100, 1000, 10_000) for d in (5, 10, 100)},
+    "scaling": {s: {"method": "hierarchy", "scaling": s} for s in ("raw", "zscore")},
+    "flat_threshold": {"tuned": {"method": "flat", "tau": TAU}, "default": {"method": "flat", "tau": TAU_DEFAULT}},
+}
+
+#: The templates that each choice is tried on.
+TRIED = {"relaxation": ("w1", "w2"), "augmenter": ("w1", "w4"), "auxiliary": ("w1", "w2"), "reduced_size": ("w1", "w2", "w3", "w4"), "final_solver": ("w1", "w2", "w3", "w4"), "grid": ("w1", "w2"), "scaling": ("w1", "w2", "w3", "w4"), "flat_threshold": ("w1", "w2")}
+#: Shares of the views for the choices, so that either has layers.
+SHARE = {"ev": 0.5, "li": 0.1}
+
+
+def partition_times(view: Callable[[SparkSession, str], DataFrame], cols: list[str], shares=(0.1, 0.3, 1.0), d_f: float = 100) -> Callable[[SparkSession, str], DataFrame]:
+    """Seconds and groups of the low-variance partitioner and of mean splits on the same rows."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        def one(table: pd.DataFrame) -> pd.DataFrame:
+            values, out = table.sort_values("tid")[cols].to_numpy(float), []
+            total = values.var(axis=0)
+            for label, f in (("low_variance", lambda: partition_low_variance(values, d_f).assign), ("mean_split", lambda: mem.mean_split(values, d_f))):
+                began = time.monotonic()
+                assign = f()
+                seconds = time.monotonic() - began
+                n = int(assign.max()) + 1
+                count = np.bincount(assign, minlength=n)
+                means = [np.bincount(assign, weights=c, minlength=n) / count for c in values.T]
+                left = sum(float(((c - mean[assign]) ** 2).mean()) for c, mean in zip(values.T, means)) / float(total.sum())
+                out.append((label, len(values), n, downscale(len(values), n), left, seconds))
+            return pd.DataFrame(out, columns=["method", "n", "groups", "downscale", "variance_left", "seconds"])
+
+        cells = sub_relations(view(spark, sf_dir).select("tid", *cols), shares, 1, (0,))
+        return cells.repartition(4 * len(shares), "share").groupBy("share").applyInPandas(one, "method string, n long, groups long, downscale double, variance_left double, seconds double")
+
+    return run
+
+
+def partition_quality(column_rows: Callable[[SparkSession, str], DataFrame], column: str, normal_rows: int = 100_000) -> Callable[[SparkSession, str], DataFrame]:
+    """Ratio score and rows per piece at the same numbers of pieces: scan, low variance and mean split.
+
+    Seeded normal samples of 100,000 rows, and all rows of a column; a task for
+    each sample.
+    """
+
+    def measure(label: str, x: np.ndarray) -> list[tuple]:
+        out = []
+        for d_f in (10, 100, 1000):
+            if len(x) < 4 * d_f:
+                continue
+            beta = scale_factors_of(x[:: max(1, len(x) // 10_000)][:, None], d_f)[0] * x.var() / d_f**2
+            cuts = scan_line(x, None, beta)
+            out.append((label, "scan", float(d_f), len(cuts) + 1, ratio_score(x, cuts), downscale(len(x), len(cuts) + 1)))
+            # ten pieces a split, until there are as many as asked for
+            low = partition_low_variance(x[:, None], 10, target=d_f)
+            # mean splits have no number of groups to ask for: a size gives about as many
+            for method, assign in (("low_variance", low.assign), ("mean_split", mem.mean_split(x[:, None], len(x) / d_f))):
+                n = int(assign.max()) + 1
+                count, mean = np.bincount(assign, minlength=n), np.bincount(assign, weights=x, minlength=n)
+                mean = mean / count
+                var = np.bincount(assign, weights=(x - mean[assign]) ** 2, minlength=n) / count
+                out.append((label, method, float(d_f), n, float(var.sum() / x.var()), downscale(len(x), n)))
+        return out
+
+    names = ["sample", "method", "d_f", "pieces", "ratio_score", "downscale"]
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        def one(table: pd.DataFrame) -> pd.DataFrame:
+            return pd.DataFrame(measure(table["sample"].iloc[0], table.sort_values("x")["x"].to_numpy(float)), columns=names)
+
+        made = [spark.range(normal_rows).select(F.lit(f"normal_{s}").alias("sample"), (F.randn(7 + s) * s).alias("x")) for s in (1, 10)]
+        given = column_rows(spark, sf_dir).select(F.lit(column).alias("sample"), F.col(column).cast("double").alias("x"))
+        return made[0].unionAll(made[1]).unionAll(given).groupBy("sample").applyInPandas(one, "sample string, method string, d_f double, pieces long, ratio_score double, downscale double")
+
+    return run
+
+
+def downscale_over_beta(normal_rows: int = 100_000, grid: int = 12) -> Callable[[SparkSession, str], DataFrame]:
+    """Rows per piece of single scans over a grid of bounds, on normal samples of two spreads."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        def one(table: pd.DataFrame) -> pd.DataFrame:
+            x, label = np.sort(table["x"].to_numpy(float)), table["sample"].iloc[0]
+            betas = [theory_beta(float(x.var()), len(x)), *(x.var() * 10.0 ** -np.linspace(0, 6, grid))]
+            pieces = [len(scan_line(x, None, b)) + 1 for b in betas]
+            return pd.DataFrame([(label, float(b / x.var()), p, downscale(len(x), p)) for b, p in zip(betas, pieces)], columns=["sample", "beta_share", "pieces", "downscale"])
+
+        made = [spark.range(normal_rows).select(F.lit(f"normal_{s}").alias("sample"), (F.randn(7 + s) * s).alias("x")) for s in (1, 10)]
+        return made[0].unionAll(made[1]).groupBy("sample").applyInPandas(one, "sample string, beta_share double, pieces long, downscale double")
+
+    return run
+
+
+def adversarial_line(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two far points and a tight run: the proved bound isolates both, a mean split keeps them together.
+
+    ``closed_form`` is what a split by size and radius leaves: the variance of the
+    two points over that of all.
+    """
+    out = []
+    for n in (39, 100, 1000):
+        x = np.concatenate([[-1.0, 1.0], np.full(n, 1 + 3 / n)])
+        scan = ratio_score(x, scan_line(x, None, theory_beta(float(x.var()), n + 2)))
+        # two rows or fewer, or a radius within 1, stay together
+        assign = mem.mean_split(x[:, None], 2, 1.0)
+        halves = sum(float(x[assign == g].var()) for g in range(int(assign.max()) + 1)) / float(x.var())
+        out.append((n, round(scan, 9), round(halves, 6), round(1.0 / float(x.var()), 6)))
+    return spark.createDataFrame(out, "n int, scan double, mean_split double, closed_form double")
+
+
+def core_scaling(name: str, view: Callable[[SparkSession, str], DataFrame], copies: int = 40, parts=(1, 2, 4, 8)) -> Callable[[SparkSession, str], DataFrame]:
+    """Seconds of the pricing scan by the number of tasks, speed-up and parallel share of the work."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = view(spark, sf_dir)
+        q = instantiate(TEMPLATES[name], 1, stats_of(df, TEMPLATES[name].attrs))
+        rows = to_program(q, df)
+        # many copies of the rows, made where they are read: work enough to time
+        out, first = [], None
+        for p in parts:
+            many = rows.repartition(p).withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(copies))))
+            score = F.col("c") - sum((F.col("a")[i] * (F.col("k") * 0.01 * (i + 1)) for i in range(1, 4)), F.col("a")[0])
+            job = many.agg(F.sum(F.least(score, F.lit(0.0)) * F.col("u")))
+            job.collect()
+            took = []
+            for _ in range(3):
+                began = time.monotonic()
+                job.collect()
+                took.append(time.monotonic() - began)
+            sec = float(np.median(took))
+            first = first or sec
+            out.append((p, sec, first / sec, parallel_fraction(first / sec, p) if p > 1 else None))
+        return spark.createDataFrame(out, "tasks int, seconds double, speedup double, parallel_share double")
+
+    return run
+
+
+def improvement_of(of: Callable[[SparkSession, str], DataFrame], a: str, b: str, sense: str) -> Callable[[SparkSession, str], DataFrame]:
+    """Solved instances of two variants, and the mean ratio of objectives where both solve."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        table = of(spark, sf_dir)
+        pair = table.groupBy("workload", "share", "seed", "h").pivot("variant", [a, b]).agg(F.first("obj"))
+        ratio = F.col(b) / F.col(a) if sense == "min" else F.col(a) / F.col(b)
+        return pair.groupBy("workload").agg(F.count(a).alias(f"solved_{a}"), F.count(b).alias(f"solved_{b}"), F.count("*").alias("instances"), F.avg(F.when(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != 0) & (F.col(b) != 0), ratio)).alias("improvement"))
+
+    return run

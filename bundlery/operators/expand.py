@@ -4,39 +4,114 @@ from __future__ import annotations
 
 import heapq
 import itertools
-from dataclasses import dataclass
+from collections.abc import Callable
+from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-#: Boxes that the driver holds; more are looked up on the executors.
+#: Boxes that the driver holds at once; of larger layers it holds those that are reached.
 DRIVER_BOXES = 2_000_000
 
 
+class BoxIndex:
+    """A static tree over boxes: halves by their centres, each node with the hull of its boxes."""
+
+    LEAF = 32
+
+    def __init__(self, lo: np.ndarray, hi: np.ndarray):
+        n, self.lo, self.hi = len(lo), lo, hi
+        self.order = np.arange(n)
+        self.nodes: list[tuple[int, int, np.ndarray, np.ndarray, int]] = []
+        if n:
+            with np.errstate(invalid="ignore"):
+                span = np.where(np.isfinite(lo), lo, hi) + np.where(np.isfinite(hi), hi, lo)
+            self._build(np.where(np.isfinite(span), span, 0.0), 0, n)
+
+    def _build(self, centre: np.ndarray, a: int, b: int) -> None:
+        # nodes in order of a walk; the last entry of one is where its subtree ends
+        at, own = len(self.nodes), self.order[a:b]
+        self.nodes.append((a, b, self.lo[own].min(axis=0), self.hi[own].max(axis=0), 0))
+        if b - a > self.LEAF:
+            c = centre[own]
+            j = int(np.argmax(c.max(axis=0) - c.min(axis=0)))
+            mid = (b - a) // 2
+            self.order[a:b] = own[np.argpartition(c[:, j], mid)]
+            self._build(centre, a, a + mid)
+            self._build(centre, a + mid, b)
+        self.nodes[at] = (*self.nodes[at][:4], len(self.nodes))
+
+    def meeting(self, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+        """Positions of the boxes with ``box.lo <= hi`` and ``box.hi >= lo``, in order."""
+        out, at = [], 0
+        while at < len(self.nodes):
+            a, b, low, high, end = self.nodes[at]
+            if not ((low <= hi).all() and (high >= lo).all()):
+                at = end
+                continue
+            if end == at + 1:
+                own = self.order[a:b]
+                out.append(own[((self.lo[own] <= hi) & (self.hi[own] >= lo)).all(axis=1)])
+            at += 1
+        return np.sort(np.concatenate(out)) if out else np.zeros(0, np.int64)
+
+
 @dataclass
 class BoxTable:
-    """Half-open boxes of one layer's groups, in order of gid."""
+    """Half-open boxes of one layer's groups, in order of gid.
+
+    ``whole`` says whether all groups of the layer are held; if not, ``known``
+    lists the gids whose neighbours are.
+    """
 
     gid: np.ndarray
     lo: np.ndarray
     hi: np.ndarray
     cnt: np.ndarray
     obj: np.ndarray
+    whole: bool = True
+    known: set = field(default_factory=set)
+
+    @cached_property
+    def index(self) -> BoxIndex:
+        return BoxIndex(self.lo, self.hi)
 
     @classmethod
-    def load(cls, groups: DataFrame, objective, limit: int = DRIVER_BOXES) -> "BoxTable":
-        """Collect a layer's boxes; ``limit`` bounds what reaches the driver."""
-        t = groups.select("gid", "lo", "hi", "cnt", objective.alias("obj")).orderBy("gid").limit(limit + 1).toPandas()
-        if len(t) > limit:
-            raise ValueError(f"over {limit} boxes: use boxes_near")
+    def of(cls, t, whole: bool = True, known: set | None = None) -> "BoxTable":
+        """From a pandas table of ``gid, lo, hi, cnt, obj``."""
+        t = t.drop_duplicates("gid").sort_values("gid", kind="stable")
         k = len(t["lo"].iloc[0]) if len(t) else 0
-        return cls(t["gid"].to_numpy(np.int64), np.stack(t["lo"].to_numpy()) if k else np.zeros((0, 0)), np.stack(t["hi"].to_numpy()) if k else np.zeros((0, 0)), t["cnt"].to_numpy(np.int64), t["obj"].to_numpy(float))
+        return cls(t["gid"].to_numpy(np.int64), np.stack(t["lo"].to_numpy()) if k else np.zeros((0, 0)), np.stack(t["hi"].to_numpy()) if k else np.zeros((0, 0)), t["cnt"].to_numpy(np.int64), t["obj"].to_numpy(float), whole, known or set())
+
+    @classmethod
+    def load(cls, groups: DataFrame, objective, gids: np.ndarray, limit: int = DRIVER_BOXES) -> "BoxTable":
+        """All boxes of a layer of at most ``limit`` groups, else those of ``gids``."""
+        rows = groups.select("gid", "lo", "hi", "cnt", objective.alias("obj"))
+        t = rows.limit(limit + 1).toPandas()
+        if len(t) <= limit:
+            return cls.of(t)
+        ids = groups.sparkSession.createDataFrame([(int(g),) for g in gids], "gid long")
+        return cls.of(rows.join(F.broadcast(ids), "gid", "left_semi").toPandas(), whole=False)
+
+    def with_neighbours(self, groups: DataFrame, objective, gids: list[int]) -> "BoxTable":
+        """This table and all boxes that touch those of ``gids``, found on the executors."""
+        import pandas as pd
+
+        near = boxes_touching(groups.select("gid", "lo", "hi", "cnt", objective.alias("obj")), gids)
+        mine = pd.DataFrame({"gid": self.gid, "lo": list(self.lo), "hi": list(self.hi), "cnt": self.cnt, "obj": self.obj})
+        return BoxTable.of(pd.concat([mine, near.toPandas()], ignore_index=True), False, self.known | set(gids))
+
+    def place(self, gids) -> np.ndarray:
+        """Positions of groups that are held."""
+        return np.searchsorted(self.gid, gids)
 
     def group_of_point(self, point: np.ndarray) -> int:
         """Position of the box that holds a point; -1 if none does."""
-        inside = np.flatnonzero(((self.lo <= point) & (point < self.hi)).all(axis=1))
+        near = self.index.meeting(point, point)
+        inside = near[((self.lo[near] <= point) & (point < self.hi[near])).all(axis=1)]
         return int(inside[0]) if len(inside) else -1
 
     def neighbours(self, g: int, eps: float, probes: str = "grid") -> list[int]:
@@ -46,7 +121,7 @@ class BoxTable:
         ``faces`` moves along one attribute at a time (2k), for many attributes.
         """
         lo, hi = self.lo[g], self.hi[g]
-        near = np.flatnonzero(((self.lo <= hi) & (self.hi >= lo - eps)).all(axis=1))
+        near = self.index.meeting(lo - eps, hi)
         a, b = self.lo[near], self.hi[near]
         below = np.where(np.isfinite(lo), np.minimum(lo - eps, np.nextafter(lo, -np.inf)), np.nan)
         above = np.where(np.isfinite(hi), hi, np.nan)
@@ -69,21 +144,29 @@ class BoxTable:
         return list(found)
 
 
-def neighbour_queue(boxes: BoxTable, seeds: np.ndarray, alpha: int, eps: float, sense: str, probes: str = "grid") -> np.ndarray:
-    """Positions of the seed groups and of neighbours, best first, until their rows reach ``alpha``."""
+def neighbour_queue(boxes: BoxTable, seeds: np.ndarray, alpha: int, eps: float, sense: str, probes: str = "grid", fetch: Callable[[BoxTable, list[int]], BoxTable] | None = None) -> np.ndarray:
+    """Gids of the seed groups and of neighbours, best first, until their rows reach ``alpha``.
+
+    Where not all boxes are held, ``fetch`` adds the neighbours of all groups that
+    wait in the queue, one Spark job a wave; the result is the same.
+    """
     sign = -1.0 if sense == "max" else 1.0
     seen = dict.fromkeys(int(s) for s in seeds)
-    heap = [(sign * boxes.obj[g], int(boxes.gid[g]), g) for g in seen]
+    at = boxes.place(list(seen))
+    heap = [(sign * float(boxes.obj[i]), g) for g, i in zip(seen, at)]
     heapq.heapify(heap)
-    rows = int(boxes.cnt[list(seen)].sum()) if seen else 0
+    rows = int(boxes.cnt[at].sum()) if seen else 0
     while heap and rows < alpha:
-        _, _, g = heapq.heappop(heap)
-        for other in boxes.neighbours(g, eps, probes):
+        if not boxes.whole and heap[0][1] not in boxes.known:
+            boxes = fetch(boxes, [g for _, g in heap if g not in boxes.known])
+        _, g = heapq.heappop(heap)
+        for i in boxes.neighbours(int(boxes.place(g)), eps, probes):
+            other = int(boxes.gid[i])
             if other not in seen:
                 seen[other] = None
-                heapq.heappush(heap, (sign * boxes.obj[other], int(boxes.gid[other]), other))
-                rows += int(boxes.cnt[other])
-    return np.fromiter(seen, np.int64)
+                heapq.heappush(heap, (sign * float(boxes.obj[i]), other))
+                rows += int(boxes.cnt[i])
+    return np.fromiter(seen, np.int64, len(seen))
 
 
 def rows_of_groups(layer: DataFrame, gids: np.ndarray, predicate: str | None = None) -> DataFrame:
@@ -96,19 +179,54 @@ def rows_of_groups(layer: DataFrame, gids: np.ndarray, predicate: str | None = N
 def layer_epsilon(layer: DataFrame, attrs: list[str]) -> float:
     """Smallest positive difference of two rows on any single attribute.
 
-    Each attribute's distinct values are range-partitioned and compared inside
-    the parts; the borders (two values a part) are compared afterwards, so no
-    task sees all values.
+    The distinct values of all attributes are range-partitioned in one shuffle and
+    compared inside the parts; the borders (two values a part and attribute) are
+    compared afterwards, so no task sees all values.
     """
-    best = np.inf
-    for a in attrs:
-        values = layer.select(F.col(a).cast("double").alias("v")).where("v is not null").distinct()
-        parts = values.repartitionByRange("v").select("v", F.spark_partition_id().alias("p"))
-        gap = F.col("v") - F.lag("v").over(W.partitionBy("p").orderBy("v"))
-        per = parts.withColumn("d", gap).groupBy("p").agg(F.min("d").alias("d"), F.min("v").alias("lo"), F.max("v").alias("hi")).orderBy("lo").collect()
-        found = [r["d"] for r in per if r["d"] is not None] + [b["lo"] - a_["hi"] for a_, b in zip(per, per[1:])]
-        best = min([best, *[d for d in found if d > 0]])
-    return float(best)
+    value = F.explode(F.array(*[F.struct(F.lit(i).alias("a"), F.col(x).cast("double").alias("v")) for i, x in enumerate(attrs)])).alias("x")
+    values = layer.select(value).select("x.a", "x.v").where("v is not null").repartitionByRange("a", "v")
+
+    def gaps(batches):
+        held: dict[int, list] = {}
+        for batch in batches:
+            a, v = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            for i in np.unique(a).tolist():
+                held.setdefault(i, []).append(np.unique(v[a == i]))
+        for i, parts in held.items():
+            v = np.unique(np.concatenate(parts))
+            step = np.diff(v)
+            yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([v[0]]), pa.array([v[-1]]), pa.array([step.min() if len(step) else None], pa.float64())], ["a", "lo", "hi", "d"])
+
+    # two values and a gap of each part
+    per = sorted((r["a"], r["lo"], r["hi"], r["d"]) for r in values.mapInArrow(gaps, "a int, lo double, hi double, d double").collect())
+    found = [r[3] for r in per if r[3] is not None] + [y[1] - x[2] for x, y in zip(per, per[1:]) if x[0] == y[0]]
+    return float(min([d for d in found if d > 0], default=np.inf))
+
+
+def _cells(lo, hi, first: float, width: float, cells: int):
+    """Numbers of the coarse cells of one attribute that an interval crosses."""
+
+    def cell(x):
+        return F.greatest(F.lit(0.0), F.least(F.lit(float(cells - 1)), F.floor((x - first) / width).cast("double"))).cast("int")
+
+    return F.sequence(cell(lo), cell(hi))
+
+
+def boxes_touching(groups: DataFrame, gids: list[int], cells: int = 256) -> DataFrame:
+    """Rows of ``groups`` whose boxes meet or touch one of ``gids``.
+
+    The boxes of ``gids``, no more than candidates of a layer, are broadcast; boxes
+    meet on a coarse cell of the first attribute.
+    """
+    spark = groups.sparkSession
+    ids = spark.createDataFrame([(int(g),) for g in gids], "gid long")
+    mine = groups.join(F.broadcast(ids), "gid", "left_semi").select(F.col("lo").alias("l"), F.col("hi").alias("h"))
+    edge = groups.select(F.explode(F.array(F.col("lo")[0], F.col("hi")[0])).alias("x")).where("abs(x) < double('infinity')").agg(F.min("x").alias("lo"), F.max("x").alias("hi")).first()
+    first, width = edge["lo"] or 0.0, max(((edge["hi"] or 0.0) - (edge["lo"] or 0.0)) / cells, 1e-300)
+    left = groups.withColumn("cell", F.explode(_cells(F.col("lo")[0], F.col("hi")[0], first, width, cells)))
+    right = mine.withColumn("cell", F.explode(_cells(F.col("l")[0], F.col("h")[0], first, width, cells)))
+    meets = F.forall(F.arrays_zip("lo", "hi", "l", "h"), lambda z: (z["lo"] <= z["h"]) & (z["hi"] >= z["l"]))
+    return left.join(F.broadcast(right), "cell").where(meets).drop("cell", "l", "h").dropDuplicates(["gid"])
 
 
 def boxes_of_points(points: DataFrame, groups: DataFrame, buckets: int = 64) -> DataFrame:
@@ -118,12 +236,11 @@ def boxes_of_points(points: DataFrame, groups: DataFrame, buckets: int = 64) ->
     every cell it crosses.
     """
     s = points.agg(F.min(F.col("p")[0]).alias("lo"), F.max(F.col("p")[0]).alias("hi")).first()
+    if s["lo"] is None:
+        return points.sparkSession.createDataFrame([], "pid long, gid long")
     lo, width = s["lo"], max((s["hi"] - s["lo"]) / buckets, 1e-300)
-
-    def cell(x):
-        return F.greatest(F.lit(0.0), F.least(F.lit(float(buckets - 1)), F.floor((x - lo) / width).cast("double"))).cast("int")
-
-    left = points.withColumn("cell", cell(F.col("p")[0]))
-    right = groups.withColumn("cell", F.explode(F.sequence(cell(F.col("lo")[0]), cell(F.col("hi")[0]))))
-    inside = F.forall(F.arrays_zip(left["p"].alias("p"), right["lo"].alias("l"), right["hi"].alias("h")), lambda z: (z["p"] >= z["l"]) & (z["p"] < z["h"]))
-    return left.join(right, "cell").where(inside).select("pid", "gid").distinct()
+    first = F.col("p")[0]
+    left = points.withColumn("cell", _cells(first, first, lo, width, buckets)[0])
+    right = groups.select("gid", "lo", "hi").withColumn("cell", F.explode(_cells(F.col("lo")[0], F.col("hi")[0], lo, width, buckets)))
+    inside = F.forall(F.arrays_zip("p", "lo", "hi"), lambda z: (z["p"] >= z["lo"]) & (z["p"] < z["hi"]))
+    return left.join(right, "cell").where(inside).select("pid", "gid")

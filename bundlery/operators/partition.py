@@ -21,8 +21,10 @@ from pyspark.sql import functions as F
 
 #: Sample size, tolerance (share of the largest variance) and steps of the estimator.
 SAMPLE, TOLERANCE, STEPS = 10_000, 1e-6, 60
-#: Rows of a bucket that one task partitions.
-BUCKET_ROWS = 2_000_000
+#: Rows of a bucket that one task partitions: at most, and at least where there are so many.
+BUCKET_ROWS, BUCKET_LEAST = 2_000_000, 20_000
+#: Buckets that one cut makes at most; what is still too full is cut again.
+BUCKET_CUTS = 4096
 #: The constant that suits the data sets of the published experiments (fixed value).
 PUBLISHED_SCALE = 13.5
 
@@ -249,27 +251,83 @@ def bucket_edges(df: DataFrame, attr: str, stats: dict[str, float], rows: int, b
 GROUP_SHIFT = 40
 
 
-def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int = BUCKET_ROWS, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw") -> tuple[DataFrame, DataFrame]:
+def bucket_rows(n: int) -> int:
+    """Rows of a bucket of a relation of ``n``: 64 buckets between the two limits; cores play no part."""
+    return int(min(BUCKET_ROWS, max(BUCKET_LEAST, math.ceil(n / 64))))
+
+
+def cut_buckets(df: DataFrame, attrs: list[str], rows: int, bucketing: str = "equal_width", rounds: int = 16) -> tuple[DataFrame, dict[int, tuple]]:
+    """``df`` with ``bucket``, and the boxes ``(lo, hi)`` of the buckets.
+
+    The most variable attribute of all rows is cut first.  A bucket of more than
+    ``rows`` rows is cut again along its own most variable attribute, so a value
+    range that holds a third of all rows is as many buckets as it needs; only one
+    whose rows are all equal stays whole.  Counts and ranges of buckets reach the
+    driver, never rows.
+    """
+    k = len(attrs)
+    boxes: dict[int, tuple] = {0: (np.full(k, -np.inf), np.full(k, np.inf))}
+    now, open_, fresh = df.withColumn("bucket", F.lit(0)), {0}, 1
+    aggs = [f(F.col(a)).alias(f"{s}:{a}") for a in attrs for s, f in (("var", F.var_pop), ("min", F.min), ("max", F.max))]
+    for _ in range(rounds):
+        base = now if len(open_) == len(boxes) else now.where(F.col("bucket").isin(sorted(open_)))
+        stats = {r["bucket"]: r for r in base.groupBy("bucket").agg(F.count("*").alias("n"), *aggs).collect()}
+        plan = []
+        for b in sorted(open_):
+            r = stats.get(b)
+            if r is None or r["n"] <= rows:
+                continue
+            j = max(range(k), key=lambda i: r[f"var:{attrs[i]}"] or 0.0)
+            lo, hi = r[f"min:{attrs[j]}"], r[f"max:{attrs[j]}"]
+            if not hi > lo:
+                continue
+            s = {"n": r["n"], "min": lo, "max": hi}
+            # a few times the least number of equal cuts; what that leaves too full is cut again
+            most = min(BUCKET_CUTS, 4 << math.ceil(math.log2(math.ceil(r["n"] / rows))))
+            edges = bucket_edges(base.where(F.col("bucket") == b), attrs[j], s, rows, bucketing, most)
+            if edges:
+                plan.append((b, j, edges, fresh))
+                fresh += len(edges)
+        if not plan:
+            break
+        to, open_ = F.col("bucket"), set()
+        for b, j, edges, first in plan:
+            cell = _case(F.col(attrs[j]), edges).cast("int")
+            # the lowest part keeps the bucket's number
+            to = F.when(F.col("bucket") == b, F.when(cell == 0, F.lit(b)).otherwise(cell + F.lit(first - 1))).otherwise(to)
+            low, high = boxes[b]
+            for i in range(len(edges) + 1):
+                lo, hi = low.copy(), high.copy()
+                if i > 0:
+                    lo[j] = edges[i - 1]
+                if i < len(edges):
+                    hi[j] = edges[i]
+                name = b if i == 0 else first + i - 1
+                boxes[name] = (lo, hi)
+                open_.add(name)
+        now = now.withColumn("bucket", to)
+    return now, boxes
+
+
+def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int | None = None, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw") -> tuple[DataFrame, DataFrame]:
     """``(assignment, groups)`` of a relation of any size.
 
-    The most variable attribute is cut into buckets of at most ``rows`` rows, one
+    ``cut_buckets`` makes buckets of at most ``rows`` rows, one
     shuffle brings each bucket to one task, and the in-memory partitioner runs
     there with its own queue.  ``assignment`` is ``tid, gid``; ``groups`` is
     ``gid, cnt, lo, hi`` with half-open boxes that are disjoint and cover the
-    space.  ``gid`` is the bucket number shifted left plus a local number.  A
-    bucket that ties keep over ``rows`` is partitioned whole.  With ``scaling``
+    space.  ``gid`` is the bucket number shifted left plus a local number.  With ``scaling``
     ``zscore`` attributes of unlike magnitude weigh alike.
     """
     stats = profile(df, attrs)
     n = stats[attrs[0]]["n"]
     schema = "kind int, tid long, gid long, cnt long, lo array<double>, hi array<double>"
-    key = max(range(len(attrs)), key=lambda j: stats[attrs[j]]["var"] or 0.0)
-    edges = bucket_edges(df, attrs[key], stats[attrs[key]], rows, bucketing) if n else []
     if scaling not in ("raw", "zscore"):
         raise ValueError(f"unknown scaling {scaling!r}")
     unit = np.asarray([math.sqrt(stats[a]["var"] or 0.0) or 1.0 for a in attrs]) if scaling == "zscore" else None
     factors = estimate_scale_factors(df, attrs, d_f, seed=seed, tid=tid) if scale is None else scale
-    x = df.select(F.col(tid).cast("long").alias("tid"), *[F.col(a).cast("double").alias(a) for a in attrs]).withColumn("bucket", _case(F.col(attrs[key]), edges).cast("int"))
+    x = df.select(F.col(tid).cast("long").alias("tid"), *[F.col(a).cast("double").alias(a) for a in attrs])
+    x, walls = cut_buckets(x, attrs, rows or bucket_rows(n), bucketing)
 
     def cut(table: pa.Table) -> pa.Table:
         bucket = table.column("bucket")[0].as_py()
@@ -278,11 +336,7 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int =
         # a fixed order: the result must not depend on how rows arrive
         by = np.argsort(ids, kind="stable")
         points, ids = points[by], ids[by]
-        lo, hi = np.full(len(attrs), -np.inf), np.full(len(attrs), np.inf)
-        if bucket > 0:
-            lo[key] = edges[bucket - 1]
-        if bucket < len(edges):
-            hi[key] = edges[bucket]
+        lo, hi = walls[bucket]
         got = partition_low_variance(points, d_f, factors, rank, (lo, hi), unit=unit)
         base = bucket << GROUP_SHIFT
         count = np.bincount(got.assign, minlength=len(got.lo))
@@ -298,7 +352,9 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int =
             }
         )
 
-    out = persist(x.groupBy("bucket").applyInArrow(cut, schema))
+    # a stated number of tasks: small buckets would else be coalesced into one
+    tasks = min(len(walls), 4 * max(8, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    out = persist(x.repartition(tasks, "bucket").groupBy("bucket").applyInArrow(cut, schema))
     return out.where("kind = 0").select("tid", "gid"), out.where("kind = 1").select("gid", "cnt", "lo", "hi")
 
 
@@ -373,4 +429,6 @@ def partition_mean_split(df: DataFrame, attrs: list[str], tau: float, omega: flo
         now = persist(mean_split_level(now, attrs, tau, omega))
         if now.where("open").isEmpty():
             break
+    else:
+        raise RuntimeError(f"groups are still to be split after {levels} levels")
     return now.select("tid", "gid"), now.groupBy("gid").agg(F.count("*").alias("cnt"))

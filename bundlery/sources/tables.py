@@ -11,10 +11,13 @@ FORMATS = ("parquet", "csv", "json", "orc", "text")
 
 
 def checkpoint_folder(spark: SparkSession) -> str:
-    """The session's shared checkpoint folder; a temporary one only where none is named."""
+    """The session's shared checkpoint folder; in local mode a temporary one where none is named."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
 

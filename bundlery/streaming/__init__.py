@@ -1 +1 @@
-
+"""Running statistics and packages over streams of rows."""
