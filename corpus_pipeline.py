@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from bundlery.llm.benchmark_leaks import drop_leaks
 from bundlery.llm.bin_packing import pack_documents
 from bundlery.llm.language_id import keep_identified
+from bundlery.llm.lineage import remove_folder, shared_folder
 from bundlery.llm.personal_data import sanitise
 from bundlery.llm.queries import table, vocabulary
 from bundlery.llm.signature_join import drop_near_duplicates
@@ -56,12 +57,16 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The stages in order over ``documents``; each result is written and read again."""
-    from bundlery.llm.lineage import shared_folder
+    """The stages in order over ``documents``; each result is written and read again.
 
-    docs = table(spark, sf_dir, "documents")
+    A stage's result is removed from the shared folder once the next one is written.
+    """
+    docs, done = table(spark, sf_dir, "documents"), None
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES[:-1]:
-        path = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}/{name}"
+        path = f"{folder}/{name}"
         stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        if done:
+            remove_folder(spark, done)
+        docs, done = spark.read.parquet(path), path
     return STAGES[-1][1](spark, docs, sf_dir)
