@@ -10,29 +10,27 @@ width w is a sum of w table rows; pairs of neighbouring bytes share one table
 lookup when the trained network is applied.
 
 Training uses a bounded sample of labelled documents, the ``per_language``
-smallest of a hash of the document id, and ``windows`` windows of each.
+smallest of a hash of the document, and ``windows`` windows of each.
 """
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .textbits import text_view
+from .textbits import slices, text_view
 
 WINDOW = 256
 WIDTHS = (2, 3, 4)
 FILTERS = 8
 UNKNOWN = "und"
-#: Bounds of the training sample.
-PER_LANGUAGE, WINDOWS, MOST_LANGUAGES = 600, 4, 64
-
-_LETTER = re.compile(r"[^\W\d_]")
+#: Bounds of the training sample; more languages raise an error.
+PER_LANGUAGE, WINDOWS, MOST_LANGUAGES = 600, 4, 1000
+#: Bytes that the network is applied to at a time, a whole number of windows.
+BLOCK_BYTES = 128 * WINDOW
 
 
 def _classes() -> np.ndarray:
@@ -134,49 +132,55 @@ def text_windows(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndar
 
 
 def held_out(doc_id: str):
-    """Documents that never take part in learning."""
-    return F.pmod(F.crc32(F.col(doc_id).cast("string")), F.lit(3)) == 1
+    """Documents that never take part in learning; those without an id are not held out."""
+    return F.coalesce(F.pmod(F.crc32(F.col(doc_id).cast("string")), F.lit(3)) == 1, F.lit(False))
 
 
-def train(docs: DataFrame, per_language: int = PER_LANGUAGE, windows: int = WINDOWS) -> ByteNet | None:
+def train(docs: DataFrame, per_language: int = PER_LANGUAGE, windows: int = WINDOWS, most_languages: int = MOST_LANGUAGES) -> ByteNet | None:
     """A network learnt from a bounded sample; None where there is no label.
 
-    At most ``per_language`` documents of at most ``MOST_LANGUAGES`` languages
-    and ``windows`` windows of each reach the driver.
+    The sample of a language is its ``per_language`` documents of the smallest
+    hash, repeated rows once; ``windows`` windows of each reach the driver.  More
+    than ``most_languages`` languages raise an error.  Rows without an id are not
+    learnt from.
     """
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
-    labelled = base.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out("doc_id"))
-    draw = W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = labelled.select("doc_id", "lang").withColumn("k", F.row_number().over(draw)).where(F.col("k") <= per_language)
-    most = [r[0] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect()]
-    if not most:
+    labelled = base.where(F.col("doc_id").isNotNull() & F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out("doc_id"))
+    labelled = labelled.withColumn("h", F.xxhash64("doc_id", "text"))
+    counts = labelled.groupBy("lang").agg(F.approx_count_distinct("h").alias("n")).limit(most_languages + 1).collect()
+    if len(counts) > most_languages:
+        raise ValueError(f"over {most_languages} languages")
+    if not counts:
         return None
-    ids = ids.where(F.col("lang").isin(most)).select("doc_id").distinct()
+    # a bound on the hash lets about eight times the sample of a language through, whatever the corpus
+    lowest, span = -(1 << 63), (1 << 64) - 1
+    bound = {r["lang"]: min((1 << 63) - 1, lowest + span * 8 * per_language // max(r["n"], 1)) for r in counts}
+    below = F.create_map(*[F.lit(x) for k, v in bound.items() for x in (k, v)])[F.col("lang")]
 
     def cut(batches):
-        for batch in batches:
+        for batch in slices(batches):
             langs, bodies, keys = [], [], []
             for i in range(batch.num_rows):
                 x, _ = text_windows(*text_view(batch.column(2).slice(i, 1)))
                 if len(x):
                     pick = np.unique(np.linspace(0, len(x) - 1, min(windows, len(x))).astype(np.int64))
-                    for w in pick:
-                        langs.append(batch.column(1)[i].as_py())
-                        bodies.append(x[w].tobytes())
-                        keys.append(batch.column(0)[i].as_py())
+                    langs.append(batch.column(1)[i].as_py())
+                    bodies.append(x[pick].tobytes())
+                    keys.append(batch.column(0)[i].as_py())
             if langs:
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(langs), pa.array(bodies, pa.binary())], ["doc_id", "lang", "body"])
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(langs), pa.array(bodies, pa.binary())], ["h", "lang", "body"])
 
-    # the list of ids is bounded by the sample's parameters
-    rows = labelled.join(F.broadcast(ids), "doc_id", "left_semi").mapInArrow(cut, "doc_id long, lang string, body binary").collect()
+    drawn = labelled.where(F.col("h") <= below).select("h", "lang", "text").mapInArrow(cut, "h long, lang string, body binary").dropDuplicates(["h", "lang"])
+    order = W.partitionBy("lang").orderBy("h")
+    rows = drawn.withColumn("k", F.row_number().over(order)).where(F.col("k") <= per_language).collect()
     if not rows:
         return None
-    rows.sort(key=lambda r: (r["lang"], r["doc_id"], bytes(r["body"])))
+    rows.sort(key=lambda r: (r["lang"], r["h"]))
     languages = sorted({r["lang"] for r in rows})
-    x = np.stack([np.frombuffer(r["body"], np.int16) for r in rows])
-    y = np.asarray([languages.index(r["lang"]) for r in rows])
+    x = [np.frombuffer(r["body"], np.int16).reshape(-1, WINDOW) for r in rows]
+    y = np.repeat([languages.index(r["lang"]) for r in rows], [len(w) for w in x])
     net = ByteNet(languages)
-    net.fit(x, y)
+    net.fit(np.concatenate(x), y)
     return net.freeze()
 
 
@@ -190,18 +194,20 @@ def predict(docs: DataFrame, net: ByteNet | None) -> DataFrame:
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
     def run(batches):
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 256):
-                part = batch.slice(lo, 256)
-                names, scores = label_texts(part.column(1), held.value)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
+        for part in slices(batches):
+            names, scores = label_texts(part.column(1), held.value)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
 
     return source.mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
+def has_letter(text: str | None) -> bool:
+    return bool(text) and any(map(str.isalpha, text))
+
+
 def label_texts(texts: pa.Array, net: ByteNet | None) -> tuple[list[str], list[float]]:
     """Language and score of each text of an Arrow column."""
-    letters = [bool(t) and _LETTER.search(t) is not None for t in texts.to_pylist()]
+    letters = [has_letter(t) for t in texts.to_pylist()]
     if net is None or not any(letters):
         return [UNKNOWN] * len(letters), [0.0] * len(letters)
     data, off = text_view(texts)
@@ -209,7 +215,7 @@ def label_texts(texts: pa.Array, net: ByteNet | None) -> tuple[list[str], list[f
     weight = np.zeros(len(letters))
     # a bounded number of bytes at a time, also inside one long text
     size = off[1:] - off[:-1]
-    step = 1 << 19
+    step = BLOCK_BYTES
     row = 0
     while row < len(size):
         end = max(row + 1, int(np.searchsorted(off, off[row] + step, side="right")) - 1)
@@ -245,14 +251,12 @@ def keep_identified(docs: DataFrame, least: float = 0.5) -> DataFrame:
     at = docs.columns.index("text")
 
     def run(batches):
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 256):
-                part = batch.slice(lo, 256)
-                if held.value is None:
-                    good = [bool(t) and _LETTER.search(t) is not None for t in part.column(at).to_pylist()]
-                else:
-                    names, scores = label_texts(part.column(at), held.value)
-                    good = [n != UNKNOWN and s >= least for n, s in zip(names, scores)]
-                yield part.filter(pa.array(good, pa.bool_()))
+        for part in slices(batches):
+            if held.value is None:
+                good = [has_letter(t) for t in part.column(at).to_pylist()]
+            else:
+                names, scores = label_texts(part.column(at), held.value)
+                good = [n != UNKNOWN and s >= least for n, s in zip(names, scores)]
+            yield part.filter(pa.array(good, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
