@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textbits import shingle_rows, spare_name, text_view
+from .textbits import shingle_rows, slices, spare_name, text_view
 
 #: Shingles of a broadcast block of items: 8 bytes each in three arrays.
 BLOCK_SHINGLES = 1 << 20
@@ -29,7 +29,7 @@ BLOCK_SHINGLES = 1 << 20
 class ItemIndex:
     """Sketches and whole shingle sets of one block of items."""
 
-    def __init__(self, ids: list[int | None], sets: list[np.ndarray], share: float):
+    def __init__(self, ids: list[int | None], sets: list[np.ndarray], share: float, short: list[int] = ()):
         self.ids, self.share = ids, share
         self.sizes = np.asarray([len(s) for s in sets], np.int64)
         # partitions double in size; the sketch length follows the upper bound
@@ -41,6 +41,8 @@ class ItemIndex:
         owner = np.repeat(np.arange(len(sets)), self.sizes)
         order = np.argsort(flat, kind="stable")
         self.flat, self.owner = flat[order], owner[order]
+        #: Numbers of words of the items that are shorter than a shingle.
+        self.short = tuple(sorted(set(short)))
         # a first look by 16 bits of the hash spares most of the binary searches
         self.seen = np.zeros(1 << 16, bool)
         self.seen[(self.keys >> np.uint64(48)).astype(np.int64)] = True
@@ -70,17 +72,19 @@ def _normal(col):
 def _blocks(items: DataFrame, share: float, width: int, block_shingles: int):
     """Indexes of the items, one block after another; at least one, perhaps empty."""
     lines = items.select(F.col("item_id").cast("long").alias("item_id"), _normal(F.col("text")).alias("t"))
-    ids, sets, total = [], [], 0
+    ids, sets, short, total = [], [], [], 0
     for row in lines.toLocalIterator():
         s = next(shingle_rows(*text_view(pa.array([row["t"]])), width))
         if len(s):
             ids.append(row["item_id"])
             sets.append(s)
             total += len(s)
+            words = len(row["t"].split())
+            short += [words] if words < width else []
         if total >= block_shingles:
-            yield ItemIndex(ids, sets, share)
-            ids, sets, total = [], [], 0
-    yield ItemIndex(ids, sets, share)
+            yield ItemIndex(ids, sets, share, short)
+            ids, sets, short, total = [], [], [], 0
+    yield ItemIndex(ids, sets, share, short)
 
 
 def find_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int = 5, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
@@ -88,9 +92,10 @@ def find_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int
 
     Returns ``doc_id, item_id, n_shared, n_item, containment`` with
     ``containment = n_shared / n_item >= share``, one row for each document row
-    and item.  Texts are compared as lower-case runs of letters and digits.  Items of
-    fewer than ``width`` words count as one shingle; items without words and
-    null texts match nothing.  Repeated document rows give repeated results;
+    and item.  Texts are compared as lower-case runs of letters and digits.  An item of
+    fewer than ``width`` words is one shingle of all its words, looked up among
+    the documents' runs of that many words; items without words and null texts
+    match nothing.  Repeated document rows give repeated results;
     items with the same id are separate, and ids may be null.  Extra columns are
     ignored.
     """
@@ -104,9 +109,9 @@ def find_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int
 
         def search(batches, held=held):
             own = held.value
-            for batch in batches:
+            for batch in slices(batches):
                 ids = batch.column(0).to_pylist()
-                rows = [(d, *h) for d, s in zip(ids, shingle_rows(*text_view(batch.column(1)), width)) for h in own.hits(s)]
+                rows = [(d, *h) for d, s in zip(ids, shingle_rows(*text_view(batch.column(1)), width, also=own.short)) for h in own.hits(s)]
                 if rows:
                     d, i, n, m = map(list, zip(*rows))
                     yield pa.RecordBatch.from_arrays([pa.array(d, pa.int64()), pa.array(i, pa.int64()), pa.array(n, pa.int64()), pa.array(m, pa.int64()), pa.array([a / b for a, b in zip(n, m)], pa.float64())], ["doc_id", "item_id", "n_shared", "n_item", "containment"])
@@ -131,9 +136,9 @@ def drop_leaks(docs: DataFrame, items: DataFrame, share: float = 0.8, width: int
 
         def judge(batches, held=held):
             own = held.value
-            for batch in batches:
+            for batch in slices(batches):
                 text = batch.column(batch.schema.names.index(extra))
-                yield batch.filter(pa.array([not own.hits(s) for s in shingle_rows(*text_view(text), width)], pa.bool_()))
+                yield batch.filter(pa.array([not own.hits(s) for s in shingle_rows(*text_view(text), width, also=own.short)], pa.bool_()))
 
         kept = kept.mapInArrow(judge, marked.schema)
     return kept.select(docs.columns)
