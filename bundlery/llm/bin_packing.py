@@ -24,10 +24,11 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .lineage import settle
+from .textbits import slices
 
 CAPACITY = 2048
 #: Chunks and words that one worker remembers; beyond that it starts anew.
-REMEMBERED, REMEMBERED_WORDS = 400_000, 300_000
+REMEMBERED, REMEMBERED_WORDS = 150_000, 100_000
 #: Signs that may follow a word in a chunk (fixed value).
 TAIL = ".,;:!?*#$%&|"
 _SEPARATORS = "\x1c\x1d\x1e\x1f"
@@ -191,7 +192,7 @@ def token_pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end
             _words.clear()
             _words[own] = WordIds(held.value)
         ids, end = _words[own].ids, end_id.to_bytes(4, "little")
-        for batch in batches:
+        for batch in slices(batches):
             rows = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 raw = (ids(text) if text else b"") + end

@@ -53,9 +53,11 @@ def contract(batches):
         yield stars(held)
 
 
-def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def connected_components(edges: DataFrame, rounds: int = 60, contracted: bool = False) -> DataFrame:
     """``node, component`` (the smallest node it reaches) of ``a, b`` edges.
 
+    ``contracted`` says that the edges' tasks have sent them through ``contract``.
+
     First every task contracts its own edges to stars.  Until the whole is a
     forest of stars, two star operations alternate: every node hands its larger
     neighbours, then its smaller ones, to its smallest neighbour.  Both are a
@@ -63,7 +65,8 @@ def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     with very many neighbours is split like any skewed join.  Each round is cut
     from its lineage in the shared folder.
     """
-    now = settle(edges.select(F.col("a").cast("long"), F.col("b").cast("long")).mapInArrow(contract, "u long, v long").distinct())
+    own = edges.select(F.col("a").cast("long").alias("u"), F.col("b").cast("long").alias("v"))
+    now = settle((own if contracted else own.mapInArrow(contract, "u long, v long")).distinct())
     for _ in range(rounds):
         # a forest of stars: every child has one parent, and no parent is a child
         roles = now.select(F.col("u").alias("n"), F.lit(1).alias("child"), F.lit(0).alias("parent")).unionAll(now.select("v", F.lit(0), F.lit(1)))

@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .textbits import slices
+
 RATE, FRAME, HOP = 8000, 256, 128
 #: Peaks that one peak is paired with, and the furthest of them in frames.
 FAN, REACH = 2, 63
@@ -77,20 +79,18 @@ def media_columns(docs: DataFrame) -> DataFrame:
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("text"))
 
     def run(batches):
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 512):
-                part = batch.slice(lo, 512)
-                rows = []
-                for raw in part.column(1).to_pylist():
-                    raw = raw or b""
-                    media = to_wav(raw + bytes(max(64, -len(raw) % 64 + len(raw)) - len(raw)))
-                    back = from_wav(media)
-                    rows.append((len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), media, peak_pairs(back)))
-                n, m, sha, crc, media, pairs = zip(*rows)
-                ends = np.cumsum([0, *map(len, pairs)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(n, pa.int64()), pa.array(m, pa.int64()), pa.array(sha), pa.array(crc, pa.int64()), pa.array(media, pa.binary()), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(pairs).astype(np.int64)))],
-                    ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media", "fingerprint"],
-                )
+        for part in slices(batches):
+            rows = []
+            for raw in part.column(1).to_pylist():
+                raw = raw or b""
+                media = to_wav(raw + bytes(max(64, -len(raw) % 64 + len(raw)) - len(raw)))
+                back = from_wav(media)
+                rows.append((len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), media, peak_pairs(back)))
+            n, m, sha, crc, media, pairs = zip(*rows)
+            ends = np.cumsum([0, *map(len, pairs)]).astype(np.int32)
+            yield pa.RecordBatch.from_arrays(
+                [part.column(0), pa.array(n, pa.int64()), pa.array(m, pa.int64()), pa.array(sha), pa.array(crc, pa.int64()), pa.array(media, pa.binary()), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(pairs).astype(np.int64)))],
+                ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media", "fingerprint"],
+            )
 
     return source.mapInArrow(run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media binary, fingerprint array<long>")

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .lineage import settle
-from .textbits import spare_name
+from .textbits import slices, spare_name
 
 #: Kinds in the order of ties, and the tag that takes the place of a span.
 KINDS = ("email", "ip", "card", "phone", "term")
@@ -114,7 +114,7 @@ def _occurrences(docs: DataFrame, near: int) -> DataFrame:
 
     def run(batches):
         row, rows = TaskContext.get().partitionId() << 40, []
-        for batch in batches:
+        for batch in slices(batches):
             for doc, text, k1, k2 in zip(*(c.to_pylist() for c in batch.columns)):
                 row += 1
                 spans = base_spans(text) if text else []
@@ -134,7 +134,7 @@ def _occurrences(docs: DataFrame, near: int) -> DataFrame:
                         starts.append(m.start())
                         ends.append(m.end())
                 rows += [(row, doc, k1, k2, _key(w), None, *x) for w, x in places.items()]
-                if len(rows) > 50_000:
+                if len(rows) > 20_000:
                     yield made(rows)
                     rows = []
         if rows:
@@ -148,16 +148,16 @@ def _document_counts(docs: DataFrame) -> DataFrame:
 
     def run(batches):
         counts, known = {}, {}
-        for batch in batches:
+        for batch in slices(batches):
             for text in batch.column(1).to_pylist():
                 for word in {w.lower() for w in set(_TERM.findall(text))} if text else ():
                     key = known.get(word)
                     if key is None:
-                        if len(known) >= 200_000:
+                        if len(known) >= 100_000:
                             known.clear()
                         key = known[word] = _key(word)
                     counts[key] = counts.get(key, 0) + 1
-                if len(counts) > 200_000:
+                if len(counts) > 100_000:
                     yield pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.int64()), pa.array(counts.values(), pa.int64())], ["term", "docs"])
                     counts = {}
         if counts:
@@ -221,7 +221,7 @@ def find_personal_data(docs: DataFrame, threshold: float = 0.9, prior: float = P
     """
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             spans = [base_spans(t) if t else [] for t in batch.column(1).to_pylist()]
             kind = pa.list_(pa.struct([("start", pa.int64()), ("kind", pa.string()), ("end", pa.int64())]))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array([[{"start": s, "kind": k, "end": e} for s, k, e in x] for x in spans], kind)], ["id", "a", "b", "base"])
@@ -248,7 +248,7 @@ def sanitise(docs: DataFrame, threshold: float = 0.9, prior: float = PRIOR, remo
     types = {f.name: f for f in docs.schema.fields}
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             names = batch.schema.names
             text, terms = batch.column(names.index(whole)).to_pylist(), batch.column(names.index(extra)).to_pylist()
             out = []

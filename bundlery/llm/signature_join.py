@@ -29,9 +29,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .components import connected_components
+from .components import connected_components, contract
 from .lineage import PACKED, bucket_count, bucket_stream, packed_batches, settle
-from .textbits import mix64, shingle_rows, spare_name, text_view
+from .textbits import mix64, shingle_rows, slices, spare_name, text_view
 
 BLOCK = 1024
 _FAN = 16
@@ -163,7 +163,7 @@ def tree_links(sets: list[np.ndarray], groups: np.ndarray, visitor: np.ndarray,
         ok = (den * hi[i] >= num * lo[j]) & (den * hi[j] >= num * lo[i])
         i, j = i[ok], j[ok]
         keep = np.empty(len(i), bool)
-        step = max(1, (1 << 22) // bitmap.shape[1])
+        step = max(1, (1 << 20) // bitmap.shape[1])
         for at in range(0, len(i), step):
             a, b = i[at : at + step], j[at : at + step]
             o = np.minimum(_count(bitmap[a] & bitmap[b]) + slack, np.minimum(hi[a], hi[b]))
@@ -172,7 +172,7 @@ def tree_links(sets: list[np.ndarray], groups: np.ndarray, visitor: np.ndarray,
 
     def verify(i, j):
         if exact:
-            step = max(1, (1 << 22) // leaf.shape[1])
+            step = max(1, (1 << 20) // leaf.shape[1])
             overlap = np.concatenate([_count(leaf[i[at : at + step]] & leaf[j[at : at + step]]) for at in range(0, len(i), step)])
         else:
             overlap = np.asarray([len(np.intersect1d(sets[order[a]], sets[order[b]], assume_unique=True)) for a, b in zip(i, j)], np.int64)
@@ -256,7 +256,7 @@ def shingle_classes(docs: DataFrame, width: int) -> DataFrame:
     """``doc_id, n_shingles, key``: the size and the key of each document's set."""
 
     def measure(batches):
-        for batch in batches:
+        for batch in slices(batches):
             sizes, keys = [], []
             for s in shingle_rows(*text_view(batch.column(1)), width):
                 sizes.append(len(s))
@@ -267,13 +267,13 @@ def shingle_classes(docs: DataFrame, width: int) -> DataFrame:
 
 
 def _band_edges(docs: DataFrame, width: int, threshold: float) -> DataFrame:
-    """Edges ``a, b`` from each class to the smallest class of each of its bands."""
+    """Edges ``a, b`` from each class towards the smallest class of its bands, contracted in each task."""
     rows, bands = band_plan(threshold)
     buckets = bucket_count(docs.sparkSession)
 
     def send(batches):
         make, seen = Bands(rows, bands), set()
-        for batch in batches:
+        for batch in slices(batches):
             out, keys = [], []
             for s in shingle_rows(*text_view(batch.column(1)), width):
                 if not len(s):
@@ -281,7 +281,7 @@ def _band_edges(docs: DataFrame, width: int, threshold: float) -> DataFrame:
                 key = set_key(s)
                 if key in seen:  # copies inside the task are sent once
                     continue
-                if len(seen) < 1_000_000:
+                if len(seen) < 200_000:
                     seen.add(key)
                 out.append(make(s))
                 keys.append(key)
@@ -301,15 +301,20 @@ def _band_edges(docs: DataFrame, width: int, threshold: float) -> DataFrame:
                 pairs = np.unique(pairs, axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], ["a", "b"])
 
+    def stars(batches):
+        # in the same worker: a second one would double the memory of a task
+        for batch in contract(meet(batches)):
+            yield batch.rename_columns(["a", "b"])
+
     sent = docs.mapInArrow(send, PACKED)
-    return sent.repartition(buckets // 4, "bucket").sortWithinPartitions("bucket").mapInArrow(meet, "a long, b long")
+    return sent.repartition(buckets // 4, "bucket").sortWithinPartitions("bucket").mapInArrow(stars, "a long, b long")
 
 
 def _class_sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
     """``key, hood, body``: the shingle sets of the classes that have neighbours."""
 
     def build(batches):
-        for batch in batches:
+        for batch in slices(batches):
             sets = [(i, s.tobytes()) for i, s in enumerate(shingle_rows(*text_view(batch.column(2)), width)) if len(s) and set_key(s) == batch.column(0)[i].as_py()]
             at = pa.array([i for i, _ in sets], pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array([b for _, b in sets], pa.binary())], ["key", "hood", "body"])
@@ -329,7 +334,7 @@ def jaccard_components(docs: DataFrame, width: int = 5, num: int = 80, den: int
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sizes = settle(shingle_classes(source, width))
     classes = sizes.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("doc_id"))
-    hoods = settle(connected_components(_band_edges(source, width, num / den)).select(F.col("node").alias("key"), F.col("component").alias("hood")))
+    hoods = settle(connected_components(_band_edges(source, width, num / den), contracted=True).select(F.col("node").alias("key"), F.col("component").alias("hood")))
     wanted = classes.join(hoods, "key").select("doc_id", "key", "hood")
     members = settle(_class_sets(source, wanted, width))
     counts = hoods.groupBy("hood").agg(F.count("*").alias("n")).where(F.col("n") > block).withColumn("blocks", F.ceil(F.col("n") / block).cast("int"))

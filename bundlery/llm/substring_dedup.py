@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .lineage import PACKED, bucket_count, packed_batches, settle
-from .textbits import mix64, row_chunks, run_hashes, text_view, word_hashes, word_table
+from .textbits import mix64, row_chunks, run_hashes, slices, text_view, word_hashes, word_table
 
 WIDTH, GRAM = 50, 16
 #: Words that a map task gathers before it settles and sends them.
@@ -207,7 +207,7 @@ def _fragments(docs: DataFrame, width: int, gram: int, task_words: int) -> DataF
 
     def send(batches):
         held, ids, keys, words = [], [], [], 0
-        for batch in batches:
+        for batch in slices(batches):
             own, text_keys = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for h, anchor, row, start in _windows(*text_view(batch.column(2)), width, gram):
                 # rows are numbered anew among those that are held
@@ -299,7 +299,7 @@ def _source_digests(source: DataFrame, factors: DataFrame) -> DataFrame:
     per = places.groupBy("id", "key").agg(F.collect_set(F.struct("at", "n")).alias("places"))
 
     def digest(batches):
-        for batch in batches:
+        for batch in slices(batches):
             rows = []
             for doc, key, text, places in zip(*(c.to_pylist() for c in batch.columns)):
                 if places:
@@ -327,7 +327,7 @@ def strip_factors(docs: DataFrame, factors: DataFrame) -> DataFrame:
     per = known.groupBy(F.col("doc_id").alias("id"), F.col("text_key").alias("key")).agg(F.collect_list(F.struct("start", "length", "digest")).alias("factors"))
 
     def strip(batches):
-        for batch in batches:
+        for batch in slices(batches):
             n_words, n_gone, kept = [], [], []
             for text, factors in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 words = (text or "").encode().split()

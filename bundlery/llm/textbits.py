@@ -9,16 +9,22 @@ text.
 
 from __future__ import annotations
 
+import ctypes
+import sys
+
 import numpy as np
 import pyarrow as pa
 
 U = np.uint64
+#: Hands freed memory back to the system, where the C library has it.
+_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None) if sys.platform.startswith("linux") else None
 #: A word is a maximal run of bytes other than these (fixed values).
 SPACE_BYTES = (0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D)
 _MASK = (1 << 64) - 1
 _BASE = 0x9E3779B97F4A7C15 | 1
 _BASE_INV = pow(_BASE, -1, 1 << 64)
-CHUNK_BYTES = 4 << 20
+#: Bytes that are hashed at a time; the tables of powers follow it.
+CHUNK_BYTES = 1 << 18
 
 _rng = np.random.default_rng(20240611)
 _CODES = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
@@ -73,6 +79,23 @@ def row_chunks(off: np.ndarray, limit: int = CHUNK_BYTES):
         lo = hi
 
 
+def slices(batches, limit: int = 1 << 20):
+    """The rows of Arrow batches in slices of about ``limit`` bytes, one row at least.
+
+    What a task does with a slice then needs memory for that slice, not for all
+    rows of a batch; what is freed goes back to the system when the task ends.
+    """
+    for batch in batches:
+        if batch.num_rows:
+            size = max(1, batch.num_rows * limit // max(1, batch.nbytes))
+            for lo in range(0, batch.num_rows, size):
+                yield batch.slice(lo, size)
+        del batch
+    pa.default_memory_pool().release_unused()
+    if _TRIM is not None:
+        _TRIM(0)
+
+
 def word_table(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts and ends of all words, and per row the index of its first word."""
     if not len(data):
@@ -117,32 +140,35 @@ def run_hashes(words: np.ndarray, k: int) -> np.ndarray:
             for i in range(1, k):
                 acc += words[i : i + n] * _SHINGLE_KEYS[i]
         else:
-            power, inverse = _power_tables(len(words))
-            total = np.zeros(len(words) + 1, np.uint64)
-            np.cumsum(words * power[: len(words)], out=total[1:])
-            acc = (total[k:] - total[:-k]) * inverse[:n]
+            acc = np.empty(n, np.uint64)
+            power, inverse = _power_tables(2 * k)
+            step = len(power) - k
+            for at in range(0, n, step):
+                part = words[at : min(n, at + step) + k - 1]
+                total = np.zeros(len(part) + 1, np.uint64)
+                np.cumsum(part * power[: len(part)], out=total[1:])
+                acc[at : at + step] = (total[k:] - total[:-k]) * inverse[: len(part) - k + 1]
         return mix64(acc + U(k))
 
 
-def shingle_rows(data: np.ndarray, off: np.ndarray, k: int, lower: bool = True):
+def shingle_rows(data: np.ndarray, off: np.ndarray, k: int, lower: bool = True, also: tuple[int, ...] = ()):
     """For each row the sorted distinct hashes of its k-word shingles.
 
     A row of fewer than k words, but one at least, gives its whole sequence as
-    the only shingle; a row without words gives an empty array.
+    the only shingle; a row without words gives an empty array.  Runs of the
+    numbers of words in ``also`` are added to every row that has them.
     """
     for lo, hi in row_chunks(off):
         base = off[lo]
         starts, ends, first = word_table(data[base : off[hi]], off[lo : hi + 1] - base)
         words = word_hashes(data[base : off[hi]], starts, ends, lower)
         runs = run_hashes(words, k)
+        more = [(w, run_hashes(words, w)) for w in also]
         for i in range(hi - lo):
             a, b = int(first[i]), int(first[i + 1])
-            if b - a >= k:
-                yield np.unique(runs[a : b - k + 1])
-            elif b > a:
-                yield run_hashes(words[a:b], b - a)
-            else:
-                yield np.zeros(0, np.uint64)
+            own = runs[a : b - k + 1] if b - a >= k else run_hashes(words[a:b], b - a) if b > a else np.zeros(0, np.uint64)
+            short = [x[a : b - w + 1] for w, x in more if b - a >= w]
+            yield np.unique(np.concatenate([own, *short]) if short else own)
 
 
 def spare_name(taken: list[str], name: str) -> str:
