@@ -95,11 +95,12 @@ def runs(name: str, variants: dict[str, dict], view: Callable[[SparkSession, str
             bound = solve_lp(lp)
             known = feasible(lp, node_limit=DIRECT_NODES) if truth else None
             fine = lambda v: float(v) if v is not None and math.isfinite(v) else None
-            out = []
-            for label, built, got in methods(q, cols, values):
+            out, done = [], list(methods(q, cols, values))
+            # a solution of any method proves that the sub-relation has one
+            has = bool(known or any(got.solved for _, _, got in done))
+            for label, built, got in done:
                 obj = fine(got.obj) if got.solved else None
-                # any solution proves feasibility
-                out.append((name, label, float(share), int(seed), int(h), len(values), built, got.status, got.solved, bool(known or got.solved), obj, fine(bound.obj), integrality_gap(obj, fine(bound.obj), q.sense), got.seconds))
+                out.append((name, label, float(share), int(seed), int(h), len(values), built, got.status, got.solved, has, obj, fine(bound.obj), integrality_gap(obj, fine(bound.obj), q.sense), got.seconds))
             return pd.DataFrame(out, columns=_NAMES)
 
         cells = sub_relations(df, shares, seeds, hs)

@@ -26,6 +26,16 @@ def test_runs_are_valid_and_repeat(spark):
     assert all(r["gap_q1"] <= r["gap_median"] <= r["gap_q3"] for r in table if r["solved"]) and all(r["instances"] == 2 for r in table)
 
 
+def test_one_truth_for_all_methods_of_a_sub_relation(spark):
+    of = ex.runs("w2", {"direct": {"method": "direct"}, "coarse": {"method": "flat", "tau": ex.TAU_DEFAULT}}, workloads.lineitem_view, (0.2,), 2, (5, 7))
+    rows = of(spark, SF).collect()
+    assert all(r["solved"] for r in rows if r["variant"] == "direct") and not all(r["solved"] for r in rows if r["variant"] == "coarse")
+    # what one method solves is feasible for the method that finds nothing
+    assert all(r["feasible"] for r in rows)
+    lost = {r["variant"]: r["false_infeasible"] for r in ex.summary(of, ())(spark, SF).collect()}
+    assert lost["direct"] == 0 and lost["coarse"] == sum(not r["solved"] for r in rows)
+
+
 def test_layers_in_memory_cover_their_rows():
     x = np.random.default_rng(0).normal(size=(3000, 3))
     p = mem.build(["a", "b", "c"], x, 5, 100)
