@@ -26,7 +26,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import connected_components, contract
@@ -227,6 +227,10 @@ def tree_links(sets: list[np.ndarray], groups: np.ndarray, visitor: np.ndarray,
     return found
 
 
+def _round_tasks(spark: SparkSession) -> int:
+    return 2 * max(12, int(spark.conf.get("spark.sql.shuffle.partitions")))
+
+
 def _tree_round(members: DataFrame, num: int, den: int) -> DataFrame:
     """Links ``a, b`` inside each ``room`` of ``room, key, comp, visitor, body``."""
 
@@ -248,8 +252,7 @@ def _tree_round(members: DataFrame, num: int, den: int) -> DataFrame:
         if rows:
             yield from room(rows)
 
-    n = 2 * max(12, int(members.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    return members.select("room", "key", "comp", "visitor", "body").repartition(n, "room").sortWithinPartitions("room").mapInArrow(join, "a long, b long")
+    return members.select("room", "key", "comp", "visitor", "body").repartition(_round_tasks(members.sparkSession), "room").sortWithinPartitions("room").mapInArrow(join, "a long, b long")
 
 
 def shingle_classes(docs: DataFrame, width: int) -> DataFrame:
@@ -344,18 +347,23 @@ def jaccard_components(docs: DataFrame, width: int = 5, num: int = 80, den: int
     links = settle(_tree_round(placed.select(F.xxhash64("hood", "part").alias("room"), "key", F.col("key").alias("comp"), F.lit(False).alias("visitor"), "body"), num, den))
     if not wide.isEmpty():
         links = _across_blocks(placed.where("blocks > 1"), links, num, den)
-    comps = connected_components(links).select(F.col("node").alias("key"), F.col("component").alias("comp"))
+    comps = connected_components(_few(links)).select(F.col("node").alias("key"), F.col("component").alias("comp"))
     named = classes.join(comps, "key", "left").withColumn("comp", F.coalesce("comp", "key"))
     low = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     final = named.join(low, "comp").select("key", "component_id")
     return sizes.join(final, "key", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
+def _few(links: DataFrame) -> DataFrame:
+    """Settled links in an eighth of the rounds' tasks: they are far fewer bytes than the sets, and each round would add its tasks."""
+    return links.coalesce(max(1, _round_tasks(links.sparkSession) // 8))
+
+
 def _across_blocks(placed: DataFrame, links: DataFrame, num: int, den: int) -> DataFrame:
     """Links between the blocks of wide neighbourhoods, added to ``links``."""
 
     def labelled(links):
-        comps = connected_components(links).select(F.col("node").alias("key"), F.col("component").alias("comp"))
+        comps = connected_components(_few(links)).select(F.col("node").alias("key"), F.col("component").alias("comp"))
         return settle(placed.select("key", "hood", "part", "blocks").join(comps, "key", "left").withColumn("comp", F.coalesce("comp", "key")))
 
     now = labelled(links)
@@ -364,7 +372,7 @@ def _across_blocks(placed: DataFrame, links: DataFrame, num: int, den: int) -> D
     heads = parts.groupBy("hood", "part").agg(F.max_by("key", "n").alias("key"), F.max_by("comp", "n").alias("comp"))
     bodies = placed.select("key", "body")
     among = heads.join(bodies, "key").select(F.xxhash64("hood", F.lit(-1)).alias("room"), "key", "comp", F.lit(False).alias("visitor"), "body")
-    links = settle(links.unionAll(_tree_round(among, num, den)))
+    links = settle(_few(links).unionAll(_tree_round(among, num, den)))
     # whatever lies outside the main component visits all blocks
     now = labelled(links)
     most = now.groupBy("hood", "comp").agg(F.count("*").alias("n")).groupBy("hood").agg(F.max_by("comp", "n").alias("main"))
@@ -372,7 +380,7 @@ def _across_blocks(placed: DataFrame, links: DataFrame, num: int, den: int) -> D
     home = now.select(F.xxhash64("hood", "part").alias("room"), "key", "comp", (F.col("comp") != F.col("main")).alias("visitor"), "body")
     visits = now.where("comp != main").select("hood", "part", "blocks", "key", "comp", "body").withColumn("to", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).where("to != part")
     away = visits.select(F.xxhash64("hood", F.col("to")).alias("room"), "key", "comp", F.lit(True).alias("visitor"), "body")
-    return settle(links.unionAll(_tree_round(home.unionAll(away), num, den)))
+    return settle(_few(links).unionAll(_tree_round(home.unionAll(away), num, den)))
 
 
 def drop_near_duplicates(docs: DataFrame, width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
