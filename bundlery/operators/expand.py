@@ -14,7 +14,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Boxes that the driver holds at once; of larger layers it holds those that are reached.
-DRIVER_BOXES = 2_000_000
+DRIVER_BOXES = 100_000
+#: Boxes that a wave may bring beyond the neighbours it was asked for, and the widths, in
+#: usual boxes, by which it looks further to find them (fixed values).
+WAVE_BOXES, WAVE_WIDTHS = 10_000, (1.0, 4.0, 16.0, 64.0)
 
 
 class BoxIndex:
@@ -90,19 +93,37 @@ class BoxTable:
     def load(cls, groups: DataFrame, objective, gids: np.ndarray, limit: int = DRIVER_BOXES) -> "BoxTable":
         """All boxes of a layer of at most ``limit`` groups, else those of ``gids``."""
         rows = groups.select("gid", "lo", "hi", "cnt", objective.alias("obj"))
-        t = rows.limit(limit + 1).toPandas()
-        if len(t) <= limit:
-            return cls.of(t)
+        # counted first: a layer that is too large must not come here to be found so
+        if groups.count() <= limit:
+            return cls.of(rows.toPandas())
         ids = groups.sparkSession.createDataFrame([(int(g),) for g in gids], "gid long")
         return cls.of(rows.join(F.broadcast(ids), "gid", "left_semi").toPandas(), whole=False)
 
-    def with_neighbours(self, groups: DataFrame, objective, gids: list[int]) -> "BoxTable":
-        """This table and all boxes that touch those of ``gids``, found on the executors."""
+    def with_neighbours(self, groups: DataFrame, objective, gids: list[int], eps: float = 0.0, most: int = WAVE_BOXES) -> "BoxTable":
+        """This table and all boxes that meet those of ``gids``, or ``eps`` below them, found on the executors.
+
+        The same wave looks a few boxes further where that brings at most ``most``
+        boxes, and knows all neighbours of what lies whole inside the searched ranges.
+        """
         import pandas as pd
 
-        near = boxes_touching(groups.select("gid", "lo", "hi", "cnt", objective.alias("obj")), gids)
+        at = self.place(gids)
+        size = self.hi[at] - self.lo[at]
+        width = np.asarray([np.median(c[np.isfinite(c)]) if np.isfinite(c).any() else 0.0 for c in size.T])
+        ranges = [(self.lo[at] - eps - r * width, self.hi[at] + r * width) for r in (0.0, *WAVE_WIDTHS)]
+        near = boxes_meeting(groups.select("gid", "lo", "hi", "cnt", objective.alias("obj")), ranges)
+        found = np.zeros(len(ranges), np.int64)
+        for r in near.groupBy("level").agg(F.count("*").alias("n")).collect():
+            found[r["level"]] = r["n"]
+        found = np.cumsum(found)
+        level = max(0, int(np.searchsorted(found, most, side="right")) - 1)
         mine = pd.DataFrame({"gid": self.gid, "lo": list(self.lo), "hi": list(self.hi), "cnt": self.cnt, "obj": self.obj})
-        return BoxTable.of(pd.concat([mine, near.toPandas()], ignore_index=True), False, self.known | set(gids))
+        out = BoxTable.of(pd.concat([mine, near.where(F.col("level") <= level).drop("level").toPandas()], ignore_index=True), False)
+        out.known = self.known | set(gids)
+        for lo, hi in zip(*ranges[level]):
+            inside = out.index.meeting(lo, hi)
+            out.known.update(out.gid[inside[((out.lo[inside] - eps >= lo) & (out.hi[inside] <= hi)).all(axis=1)]].tolist())
+        return out
 
     def place(self, gids) -> np.ndarray:
         """Positions of groups that are held."""
@@ -212,21 +233,46 @@ def _cells(lo, hi, first: float, width: float, cells: int):
     return F.sequence(cell(lo), cell(hi))
 
 
-def boxes_touching(groups: DataFrame, gids: list[int], cells: int = 256) -> DataFrame:
-    """Rows of ``groups`` whose boxes meet or touch one of ``gids``.
-
-    The boxes of ``gids``, no more than candidates of a layer, are broadcast; boxes
-    meet on a coarse cell of the first attribute.
+def _meet(lo: np.ndarray, hi: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """Positions of the boxes ``lo, hi`` that meet or touch one of the boxes ``low, high``."""
+    keep = np.ones(len(lo), bool)
+    for j in range(lo.shape[1]):
+        # the union of the searched intervals rules out most boxes, one attribute at a time
+        by = np.argsort(low[:, j], kind="stable")
+        first, last = low[by, j], np.maximum.accumulate(high[by, j])
+        new = np.concatenate([[True], first[1:] > last[:-1]])
+        first, last = first[new], last[np.concatenate([new[1:], [True]])]
+        at = np.minimum(np.searchsorted(last, lo[:, j]), len(last) - 1)
+        keep &= (first[at] <= hi[:, j]) & (last[at] >= lo[:, j])
+    rest = np.flatnonzero(keep)
+    step = max(1, (1 << 21) // len(low))
+    out = [part[((lo[part, None] <= high[None]) & (hi[part, None] >= low[None])).all(axis=2).any(axis=1)] for i in range(0, len(rest), step) for part in [rest[i : i + step]]]
+    return np.concatenate(out) if out else rest
+
+
+def boxes_meeting(groups: DataFrame, ranges: list[tuple[np.ndarray, np.ndarray]]) -> DataFrame:
+    """Rows of ``groups`` that meet or touch a range, with the ``level`` of the first list that has one.
+
+    A list ``(lo, hi)`` has a range for each group that waits, no more than
+    candidates of a layer; lists grow wider.  Ranges go to the tasks, boxes stay there.
     """
-    spark = groups.sparkSession
-    ids = spark.createDataFrame([(int(g),) for g in gids], "gid long")
-    mine = groups.join(F.broadcast(ids), "gid", "left_semi").select(F.col("lo").alias("l"), F.col("hi").alias("h"))
-    edge = groups.select(F.explode(F.array(F.col("lo")[0], F.col("hi")[0])).alias("x")).where("abs(x) < double('infinity')").agg(F.min("x").alias("lo"), F.max("x").alias("hi")).first()
-    first, width = edge["lo"] or 0.0, max(((edge["hi"] or 0.0) - (edge["lo"] or 0.0)) / cells, 1e-300)
-    left = groups.withColumn("cell", F.explode(_cells(F.col("lo")[0], F.col("hi")[0], first, width, cells)))
-    right = mine.withColumn("cell", F.explode(_cells(F.col("l")[0], F.col("h")[0], first, width, cells)))
-    meets = F.forall(F.arrays_zip("lo", "hi", "l", "h"), lambda z: (z["lo"] <= z["h"]) & (z["hi"] >= z["l"]))
-    return left.join(F.broadcast(right), "cell").where(meets).drop("cell", "l", "h").dropDuplicates(["gid"])
+
+    def run(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            lo, hi = (np.stack(batch.column(c).to_numpy(zero_copy_only=False)) for c in ("lo", "hi"))
+            level = np.full(len(lo), -1, np.int32)
+            left = np.arange(len(lo))
+            for i, (low, high) in reversed(list(enumerate(ranges))):
+                # what a wider list does not have, no narrower one has
+                left = left[_meet(lo[left], hi[left], low, high)]
+                level[left] = i
+            at = np.flatnonzero(level >= 0)
+            if len(at):
+                yield pa.RecordBatch.from_arrays([*batch.take(pa.array(at)).columns, pa.array(level[at])], [*batch.schema.names, "level"])
+
+    return groups.mapInArrow(run, "gid long, lo array<double>, hi array<double>, cnt long, obj double, level int")
 
 
 def boxes_of_points(points: DataFrame, groups: DataFrame, buckets: int = 64) -> DataFrame:
