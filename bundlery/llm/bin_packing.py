@@ -27,8 +27,8 @@ from .lineage import settle
 from .textbits import slices
 
 CAPACITY = 2048
-#: Chunks and words that one worker remembers; beyond that it starts anew.
-REMEMBERED, REMEMBERED_WORDS = 150_000, 100_000
+#: Chunks and words that one worker remembers, half of them from before its last turnover.
+REMEMBERED, REMEMBERED_WORDS = 400_000, 300_000
 #: Signs that may follow a word in a chunk (fixed value).
 TAIL = ".,;:!?*#$%&|"
 _SEPARATORS = "\x1c\x1d\x1e\x1f"
@@ -129,9 +129,13 @@ class WordIds(dict):
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
+        self.tokenize = self.tokenizer.model.tokenize
         self.known = splits_at_space(json.loads(spec))
         self.special = [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
         self.words: dict[str, bytes] = {}
+        # what was in use before the last turnover: words that come again come back from here
+        self.old: dict[str, bytes] = {}
+        self.old_words: dict[str, bytes] = {}
         printable = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
         spare = iter(range(0x100, 0x200))
         self.byte_symbol = {b: b if b in printable else next(spare) for b in range(256)}
@@ -143,13 +147,28 @@ class WordIds(dict):
         """Ids of one lower-case pre-token, past the steps that cannot change it."""
         out = self.words.get(word)
         if out is None:
-            if len(self.words) >= REMEMBERED_WORDS:
-                self.words.clear()
-            symbols = word if word.isascii() else word.encode().decode("latin-1").translate(self.byte_symbol)
-            out = self.words[word] = array("I", [t.id for t in self.tokenizer.model.tokenize(symbols)]).tobytes()
+            if len(self.words) >= REMEMBERED_WORDS // 2:
+                self.old_words, self.words = self.words, {}
+            out = self.old_words.get(word)
+            if out is None:
+                symbols = word if word.isascii() else word.encode().decode("latin-1").translate(self.byte_symbol)
+                out = array("I", [t.id for t in self.tokenize(symbols)]).tobytes()
+            self.words[word] = out
         return out
 
     def __missing__(self, chunk: str) -> bytes:
+        out = self.old.get(chunk)
+        if out is None:
+            out = self._chunk(chunk)
+        if len(chunk) <= 48:
+            if len(self) >= REMEMBERED // 2:
+                self.old = dict(self)
+                self.clear()
+            self[chunk] = out
+        return out
+
+    def _chunk(self, chunk: str) -> bytes:
+        """Ids of a chunk that is not remembered."""
         word = chunk.rstrip(TAIL)
         low = word.lower()
         # composed Latin letters only: normalisation keeps them and case folds one to one
@@ -159,10 +178,6 @@ class WordIds(dict):
                 out += self._word(chunk[len(word) :])
         else:
             out = self.encoded(chunk)
-        if len(chunk) <= 48:
-            if len(self) >= REMEMBERED:
-                self.clear()
-            self[chunk] = out
         return out
 
     def ids(self, text: str) -> bytes:

@@ -114,3 +114,19 @@ def test_conversations_with_gaps(spark):
     got = {r["conv_id"] for r in format_conversations(table).collect()}
     assert got >= {1, 2}
     assert format_conversations(table.limit(0)).collect() == []
+
+
+def test_words_in_use_outlive_a_turnover_of_what_is_remembered(monkeypatch):
+    from public_tokenizers import path
+
+    from bundlery.llm import bin_packing as b
+
+    monkeypatch.setattr(b, "REMEMBERED", 40)
+    monkeypatch.setattr(b, "REMEMBERED_WORDS", 40)
+    with open(path("word_bpe_49k.json"), encoding="utf-8") as f:
+        w = b.WordIds(f.read())
+    asked, tokenize = [], w.tokenizer.model.tokenize
+    w.tokenize = lambda s: asked.append(s) or tokenize(s)
+    texts = [f"The same {'abcdefghij'[i % 10] * (i % 30 + 3)}{'xyzuvw'[i % 6] * (i % 13)}." for i in range(300)]
+    assert [w.ids(t) for t in texts] == [w.encoded(t) for t in texts]
+    assert asked.count("the") == 1 and asked.count("same") == 1 and len(set(asked)) > 200
