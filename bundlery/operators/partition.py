@@ -124,7 +124,15 @@ class Groups:
     hi: np.ndarray
 
 
-def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | str | float | None = None, rank: str = "total_variance", box: tuple | None = None, target: int | None = None, unit: np.ndarray | None = None) -> Groups:
+def variances(points: np.ndarray, weights: np.ndarray | None = None) -> np.ndarray:
+    """Population variance of each attribute, of rows that count ``weights`` times."""
+    if weights is None or (weights == 1).all():
+        return points.var(axis=0)
+    total = weights.sum()
+    return weights @ (points - weights @ points / total) ** 2 / total
+
+
+def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | str | float | None = None, rank: str = "total_variance", box: tuple | None = None, target: int | None = None, unit: np.ndarray | None = None, weights: np.ndarray | None = None) -> Groups:
     """Split rows into about ``len(points) / d_f`` groups of low variance.
 
     ``scale`` is the factors per attribute, one number for all, ``None`` to
@@ -132,20 +140,23 @@ def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | s
     anew at every split.  ``rank`` orders the groups by ``total_variance`` (size
     times variance) or ``variance``; variances of different attributes are compared
     in squares of ``unit`` (raw by default).  Splitting stops early where no group
-    has any variance left.
+    has any variance left.  A row with a weight counts as so many equal rows.
     """
     points = np.asarray(points, float)
     n, k = points.shape
+    if weights is not None and (weights == 1).all():
+        weights = None
+    rows = n if weights is None else int(weights.sum())
     square = np.ones(k) if unit is None else np.asarray(unit, float) ** 2
-    target = target if target is not None else max(1, math.ceil(n / d_f))
+    target = target if target is not None else max(1, math.ceil(rows / d_f))
     order = np.arange(n)
     lo0 = np.full(k, -np.inf) if box is None else np.asarray(box[0], float)
     hi0 = np.full(k, np.inf) if box is None else np.asarray(box[1], float)
     if n == 0:
         return Groups(np.zeros(0, np.int64), np.zeros((0, k)), np.zeros((0, k)))
     if scale is None:
-        step = max(1, n // SAMPLE)
-        scale = scale_factors_of(points[::step][:SAMPLE], d_f)
+        at = np.arange(0, rows, max(1, rows // SAMPLE))[:SAMPLE]
+        scale = scale_factors_of(points[at if weights is None else np.searchsorted(np.cumsum(weights), at, side="right")], d_f)
     elif not isinstance(scale, str):
         scale = np.broadcast_to(np.asarray(scale, float), (k,))
 
@@ -154,12 +165,13 @@ def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | s
     def push(start, end, lo, hi):
         nonlocal ticket
         part = points[order[start:end]]
-        variance = part.var(axis=0)
+        own = None if weights is None else weights[order[start:end]]
+        variance = variances(part, own)
         j = int(np.argmax(variance / square))
         if end - start < 2 or variance[j] <= 1e-24 * (1 + np.abs(part[:, j]).max() ** 2):
             done.append((start, end, lo, hi))
             return
-        key = variance[j] / square[j] * ((end - start) if rank == "total_variance" else 1)
+        key = variance[j] / square[j] * ((end - start if own is None else own.sum()) if rank == "total_variance" else 1)
         heapq.heappush(heap, (-key, ticket, start, end, j, float(variance[j]), lo, hi))
         ticket += 1
 
@@ -172,10 +184,11 @@ def partition_low_variance(points: np.ndarray, d_f: float, scale: np.ndarray | s
             beta = scale_factors_of(x[:, None], d_f)[0] * variance / d_f**2
         else:
             beta = scale[j] * variance / d_f**2
-        cuts = scan_line(x, None, beta)
+        own = None if weights is None else weights[index]
+        cuts = scan_line(x, own, beta)
         while not len(cuts):
             beta /= 2
-            cuts = scan_line(x, None, beta)
+            cuts = scan_line(x, own, beta)
         piece = np.searchsorted(cuts, x, side="right")
         by = np.argsort(piece, kind="stable")
         order[start:end] = index[by]
