@@ -322,7 +322,7 @@ def cut_buckets(df: DataFrame, attrs: list[str], rows: int, bucketing: str = "eq
     return now, boxes
 
 
-def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int | None = None, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw") -> tuple[DataFrame, DataFrame]:
+def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int | None = None, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw", carry: list[str] | None = None, average: list[str] = (), weighted: bool = False) -> tuple[DataFrame, DataFrame]:
     """``(assignment, groups)`` of a relation of any size.
 
     ``cut_buckets`` makes buckets of at most ``rows`` rows, one
@@ -331,6 +331,11 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
     ``gid, cnt, lo, hi`` with half-open boxes that are disjoint and cover the
     space.  ``gid`` is the bucket number shifted left plus a local number.  With ``scaling``
     ``zscore`` attributes of unlike magnitude weigh alike.
+
+    With ``carry`` the assignment has the attributes and these columns, among
+    them ``w``, too; the groups have the means of ``average`` (of rows by ``w`` where
+    ``weighted``), the sum of ``w`` and the attributes' variances.  A group lies whole
+    in one task, so neither takes another shuffle.
     """
     stats = profile(df, attrs)
     n = stats[attrs[0]]["n"]
@@ -339,7 +344,10 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
         raise ValueError(f"unknown scaling {scaling!r}")
     unit = np.asarray([math.sqrt(stats[a]["var"] or 0.0) or 1.0 for a in attrs]) if scaling == "zscore" else None
     factors = estimate_scale_factors(df, attrs, d_f, seed=seed, tid=tid) if scale is None else scale
-    x = df.select(F.col(tid).cast("long").alias("tid"), *[F.col(a).cast("double").alias(a) for a in attrs])
+    more = list(carry or ())
+    x = df.select(F.col(tid).cast("long").alias("tid"), *[F.col(a).cast("double").alias(a) for a in attrs], *more)
+    if carry is not None:
+        schema += "".join(f", `{c}` {kind}" for c, kind in x.dtypes if c != "tid") + "".join(f", `var_{a}` double" for a in attrs)
     x, walls = cut_buckets(x, attrs, rows or bucket_rows(n), bucketing)
 
     def cut(table: pa.Table) -> pa.Table:
@@ -348,12 +356,30 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
         ids = table.column("tid").to_numpy()
         # a fixed order: the result must not depend on how rows arrive
         by = np.argsort(ids, kind="stable")
-        points, ids = points[by], ids[by]
+        points, ids, table = points[by], ids[by], table.take(pa.array(by)) if more else table
         lo, hi = walls[bucket]
         got = partition_low_variance(points, d_f, factors, rank, (lo, hi), unit=unit)
         base = bucket << GROUP_SHIFT
         count = np.bincount(got.assign, minlength=len(got.lo))
         g, m = len(got.lo), len(ids)
+        extra = {}
+        if carry is not None:
+            w = table.column("w").to_numpy().astype(float)
+            for c in [*attrs, *more]:
+                kind, own = table.schema.field(c).type, pa.nulls(g, table.schema.field(c).type)
+                if c == "w":
+                    own = pa.array(np.bincount(got.assign, weights=w, minlength=g)).cast(kind)
+                elif c in average:
+                    v = table.column(c).to_numpy().astype(float)
+                    each = np.where(np.isnan(v), 0.0, w if weighted else 1.0)
+                    with np.errstate(invalid="ignore"):
+                        mean = np.bincount(got.assign, weights=each * np.nan_to_num(v), minlength=g) / np.bincount(got.assign, weights=each, minlength=g)
+                    own = pa.array(mean, from_pandas=True).cast(kind)
+                extra[c] = pa.chunked_array([*table.column(c).chunks, own], kind)
+            for a, v in zip(attrs, points.T):
+                mean = np.bincount(got.assign, weights=v, minlength=g) / count
+                var = np.bincount(got.assign, weights=(v - mean[got.assign]) ** 2, minlength=g) / count
+                extra[f"var_{a}"] = pa.concat_arrays([pa.nulls(m, pa.float64()), pa.array(var)])
         return pa.table(
             {
                 "kind": pa.array(np.repeat([0, 1], [m, g]).astype(np.int32)),
@@ -362,12 +388,16 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
                 "cnt": pa.array(np.concatenate([np.ones(m, np.int64), count])),
                 "lo": pa.array([None] * m + got.lo.tolist(), pa.list_(pa.float64())),
                 "hi": pa.array([None] * m + got.hi.tolist(), pa.list_(pa.float64())),
+                **extra,
             }
         )
 
     # a stated number of tasks: small buckets would else be coalesced into one
     tasks = min(len(walls), 4 * max(8, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     out = persist(x.repartition(tasks, "bucket").groupBy("bucket").applyInArrow(cut, schema))
+    if carry is not None:
+        means = [c for c in average if c in (*attrs, *more)]
+        return out.where("kind = 0").select("tid", *attrs, *more, "gid"), out.where("kind = 1").select("gid", "lo", "hi", *means, "w", "cnt", *[f"var_{a}" for a in attrs])
     return out.where("kind = 0").select("tid", "gid"), out.where("kind = 1").select("gid", "cnt", "lo", "hi")
 
 
