@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.tables import checkpoint_folder, first_rows, reclaim
+
 #: Sample size, tolerance (share of the largest variance) and steps of the estimator.
 SAMPLE, TOLERANCE, STEPS = 10_000, 1e-6, 60
 #: Rows of a bucket that one task partitions: at most, and at least where there are so many.
@@ -135,7 +137,8 @@ def scale_factors_of(sample: np.ndarray, d_f: float) -> np.ndarray:
 
 def estimate_scale_factors(df: DataFrame, attrs: list[str], d_f: float, sample: int = SAMPLE, seed: int = 0, tid: str = "tid") -> np.ndarray:
     """``scale_factors_of`` on a sample of at most ``sample`` rows, drawn by a hash of the row id."""
-    rows = df.select(*[F.col(a).cast("double").alias(a) for a in attrs], F.xxhash64(F.col(tid), F.lit(seed)).alias("_h")).orderBy("_h").limit(sample).drop("_h").toPandas().to_numpy(float)
+    rows = df.select(*[F.col(a).cast("double").alias(a) for a in attrs], F.xxhash64(F.col(tid), F.lit(seed)).alias("_h"))
+    rows = first_rows(rows, sample, "_h").drop("_h").toPandas().to_numpy(float)
     return scale_factors_of(rows, d_f) if len(rows) else np.ones(len(attrs))
 
 
@@ -262,6 +265,16 @@ def _case(x: Column, edges: list[float]) -> Column:
     return tree(0, len(edges))
 
 
+def _cell(x: Column, edges: list[float]) -> Column:
+    """As ``_case`` for many edges: a search by halves in an array, so that plans and their code stay small."""
+    if not edges:
+        return F.lit(0)
+    bits = len(edges).bit_length()
+    held = F.array(*[F.lit(float(e)) for e in [*edges, *[math.inf] * ((1 << bits) - 1 - len(edges))]])
+    steps = F.array(*[F.lit(1 << i) for i in reversed(range(bits))])
+    return F.least(F.lit(len(edges)), F.aggregate(steps, F.lit(0), lambda at, step: at + F.when(F.get(held, at + step - 1) <= x, step).otherwise(0)))
+
+
 def bucket_edges(df: DataFrame, attr: str, stats: dict[str, float], rows: int, bucketing: str = "equal_width", most: int = 4096) -> list[float]:
     """Interior edges of buckets of at most ``rows`` rows along one attribute.
 
@@ -340,9 +353,9 @@ def cut_buckets(df: DataFrame, attrs: list[str], rows: int, bucketing: str = "eq
             break
         to, open_ = F.col("bucket"), set()
         for b, j, edges, first in plan:
-            cell = _case(F.col(attrs[j]), edges).cast("int")
             # the lowest part keeps the bucket's number
-            to = F.when(F.col("bucket") == b, F.when(cell == 0, F.lit(b)).otherwise(cell + F.lit(first - 1))).otherwise(to)
+            names = F.array(F.lit(b), *[F.lit(first + i) for i in range(len(edges))])
+            to = F.when(F.col("bucket") == b, F.get(names, _cell(F.col(attrs[j]), edges))).otherwise(to)
             low, high = boxes[b]
             for i in range(len(edges) + 1):
                 lo, hi = low.copy(), high.copy()
@@ -438,10 +451,10 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
 
 def persist(df: DataFrame) -> DataFrame:
     """Cut lineage in the session's shared checkpoint folder (a temporary one if none is named)."""
-    from ..sources.tables import checkpoint_folder
-
     checkpoint_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    out = df.checkpoint(eager=True)
+    reclaim(df.sparkSession)
+    return out
 
 
 def scan_line_df(df: DataFrame, attr: str, beta: float, parts: int = 1) -> DataFrame:

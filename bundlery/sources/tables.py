@@ -21,6 +21,18 @@ def checkpoint_folder(spark: SparkSession) -> str:
     return sc._jsc.sc().getCheckpointDir().get()
 
 
+def reclaim(spark: SparkSession) -> None:
+    """Give back the driver's heap, and shuffle files of steps that are over, where the heap has grown past half its limit.
+
+    Plans and task results are short-lived, but the heap grows with them to its limit and
+    stays there; what is in use is a small part of it.
+    """
+    jvm = spark.sparkContext._jvm
+    now = jvm.java.lang.Runtime.getRuntime()
+    if now.totalMemory() > now.maxMemory() / 2:
+        jvm.System.gc()
+
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A table of a folder of Parquet tables."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -63,6 +75,15 @@ def hash_sample(df: DataFrame, share: float, seed: int = 0, tid: str = "tid") ->
     return df.where(F.pmod(F.xxhash64(F.col(tid), F.lit(seed)), F.lit(grain)) < int(share * grain))
 
 
+def first_rows(df: DataFrame, n: int, *order) -> DataFrame:
+    """The first ``n`` rows by an order, in one part.
+
+    To be collected: a limit that is collected as it stands brings up to ``n`` rows of
+    every part to the driver, here a task has merged them.
+    """
+    return df.orderBy(*order).limit(n).coalesce(1)
+
+
 def lineitem_view(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Order lines with discount and tax as amounts of money."""
     t = with_row_id(load(spark, sf_dir, "lineitem"))
