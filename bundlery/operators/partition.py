@@ -370,7 +370,7 @@ def cut_buckets(df: DataFrame, attrs: list[str], rows: int, bucketing: str = "eq
     return now, boxes
 
 
-def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int | None = None, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw", carry: list[str] | None = None, average: list[str] = (), weighted: bool = False) -> tuple[DataFrame, DataFrame]:
+def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int | None = None, bucketing: str = "equal_width", scale=None, rank: str = "total_variance", seed: int = 0, tid: str = "tid", scaling: str = "raw", carry: list[str] | None = None, average: list[str] = (), weighted: bool = False, placed: bool = True) -> tuple[DataFrame | None, DataFrame]:
     """``(assignment, groups)`` of a relation of any size.
 
     ``cut_buckets`` makes buckets of at most ``rows`` rows, one
@@ -383,7 +383,8 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
     With ``carry`` the assignment has the attributes and these columns, among
     them ``w``, too; the groups have the means of ``average`` (of rows by ``w`` where
     ``weighted``), the sum of ``w`` and the attributes' variances.  A group lies whole
-    in one task, so neither takes another shuffle.
+    in one task, so neither takes another shuffle.  Without ``placed`` only the groups are
+    kept, and the assignment is None.
     """
     stats = profile(df, attrs)
     n = stats[attrs[0]]["n"]
@@ -428,7 +429,7 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
                 mean = np.bincount(got.assign, weights=v, minlength=g) / count
                 var = np.bincount(got.assign, weights=(v - mean[got.assign]) ** 2, minlength=g) / count
                 extra[f"var_{a}"] = pa.concat_arrays([pa.nulls(m, pa.float64()), pa.array(var)])
-        return pa.table(
+        out = pa.table(
             {
                 "kind": pa.array(np.repeat([0, 1], [m, g]).astype(np.int32)),
                 "tid": pa.array(np.concatenate([ids, np.zeros(g, np.int64)])),
@@ -439,14 +440,15 @@ def partition_bucketed(df: DataFrame, attrs: list[str], d_f: float, rows: int |
                 **extra,
             }
         )
+        return out if placed else out.slice(m)
 
     # a stated number of tasks: small buckets would else be coalesced into one
     tasks = min(len(walls), 4 * max(8, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     out = persist(x.repartition(tasks, "bucket").groupBy("bucket").applyInArrow(cut, schema))
     if carry is not None:
         means = [c for c in average if c in (*attrs, *more)]
-        return out.where("kind = 0").select("tid", *attrs, *more, "gid"), out.where("kind = 1").select("gid", "lo", "hi", *means, "w", "cnt", *[f"var_{a}" for a in attrs])
-    return out.where("kind = 0").select("tid", "gid"), out.where("kind = 1").select("gid", "cnt", "lo", "hi")
+        return out.where("kind = 0").select("tid", *attrs, *more, "gid") if placed else None, out.where("kind = 1").select("gid", "lo", "hi", *means, "w", "cnt", *[f"var_{a}" for a in attrs])
+    return out.where("kind = 0").select("tid", "gid") if placed else None, out.where("kind = 1").select("gid", "cnt", "lo", "hi")
 
 
 def persist(df: DataFrame) -> DataFrame:
